@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from chronopath.llm import lengths, packing
+from chronopath.llm import lengths, packing, tiff, warc
 
 
 def queries() -> dict:
@@ -10,7 +10,9 @@ def queries() -> dict:
 
     return {
         "op3_pack": packing.op3_pack,
+        "op4_warc": warc.op4_warc,
         "op5_lengths": lengths.op5_lengths,
+        "op7_tiff": tiff.op7_tiff,
     }
 
 
