@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-from chronopath.llm import lengths, packing, tiff, warc
+from chronopath.llm import lengths, packing, quality, tiff, toxicity, warc
 
 
 def queries() -> dict:
     import corpus_pipeline
 
     return {
+        "op2_toxicity": toxicity.op2_toxicity,
         "op3_pack": packing.op3_pack,
         "op4_warc": warc.op4_warc,
         "op5_lengths": lengths.op5_lengths,
         "op7_tiff": tiff.op7_tiff,
+        "op10_quality": quality.op10_quality,
     }
 
 
