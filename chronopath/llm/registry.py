@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from chronopath.llm import lengths, packing, quality, tiff, toxicity, warc
+from chronopath.llm import lengths, packing, quality, substrings, tiff, toxicity, warc
 
 
 def queries() -> dict:
@@ -14,6 +14,7 @@ def queries() -> dict:
         "op4_warc": warc.op4_warc,
         "op5_lengths": lengths.op5_lengths,
         "op7_tiff": tiff.op7_tiff,
+        "op8_substrings": substrings.op8_substrings,
         "op10_quality": quality.op10_quality,
     }
 
