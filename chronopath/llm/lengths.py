@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from chronopath.llm.common import bpe, slices
+from chronopath.llm.common import Scratch, bpe, slices
 
 BLOCK = 512
 
@@ -42,7 +42,8 @@ def histogram(docs: DataFrame, text_col: str = "text", vocabulary: str | None =
     """Per distinct length L: n_docs and n_tokens of exactly L, docs_reaching and
     tokens_reaching (length >= L), truncated_tokens (sum of min(length, L)),
     total_docs, total_tokens and share_within (documents of at most L)."""
-    by_length = encoded_lengths(docs, text_col, vocabulary).groupBy("length").agg(F.sum("n").alias("n_docs"))
+    counted = encoded_lengths(docs, text_col, vocabulary).groupBy("length").agg(F.sum("n").alias("n_docs"))
+    by_length = Scratch(docs.sparkSession).keep(counted, "lengths")  # read twice below; texts are encoded once
     by_length = by_length.withColumn("n_tokens", F.col("length") * F.col("n_docs")).withColumn("block", F.floor(F.col("length") / BLOCK))
     after = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, -1)
     every = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
