@@ -147,23 +147,37 @@ def gram_counts(words: DataFrame, bits: int = BITS) -> DataFrame:
 def continuation(keys: np.ndarray, order: int) -> np.ndarray:
     """Kneser-Ney probability of each n-gram's last byte given the others, from the number
     of different left neighbours; ``keys`` has an n-gram once for each of these."""
-    found, at, n = np.unique(keys, return_inverse=True, return_counts=True)
-    if order == 1:
-        return (0.999 * n / n.sum() + 0.001 / 256)[at]
-    _, context = np.unique(found >> np.uint64(8), return_inverse=True)
-    total, follow = np.bincount(context, n)[context], np.bincount(context)[context]
-    low = continuation(found & np.uint64((1 << 8 * (order - 1)) - 1), order - 1)
-    return ((np.maximum(n - DISCOUNT, 0) + DISCOUNT * follow * low) / total)[at]
+    levels = []
+    for k in range(order, 0, -1):
+        keys_here = keys if k == order else levels[-1][0] & _low(k)
+        found, n = np.unique(keys_here, return_counts=True)
+        levels.append((found, n.astype(np.float32)))
+    found, n = levels.pop()
+    p = (0.999 * n / n.sum() + 0.001 / 256).astype(np.float32)
+    while levels:
+        shorter, low = found, p
+        found, n = levels.pop()
+        k = order - len(levels)
+        first = np.flatnonzero(np.diff(found >> np.uint64(8), prepend=np.uint64(1 << 63)))  # n-grams of one context lie together
+        size = np.diff(np.r_[first, len(found)])
+        total, follow = np.repeat(np.add.reduceat(n, first), size), np.repeat(size, size).astype(np.float32)
+        p = (np.maximum(n - DISCOUNT, 0) + DISCOUNT * follow * low[np.searchsorted(shorter, found & _low(k - 1))]) / total
+    return p[np.searchsorted(found, keys)]
+
+
+def _low(k: int) -> np.uint64:
+    """Mask of the last k bytes."""
+    return np.uint64((1 << 8 * k) - 1)
 
 
 def ratio_tables(keys: np.ndarray, toxic: np.ndarray, ordinary: np.ndarray, order: int = ORDER, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
     """Log ratios of seen n-grams and of back-off weights, by bucket."""
-    shared = continuation(keys & np.uint64((1 << 8 * (order - 1)) - 1), order - 1)
+    shared = continuation(keys & _low(order - 1), order - 1)
     contexts, at = np.unique(bucket(keys >> np.uint64(8), bits), return_inverse=True)
     logs, weights = [], []
     for counts in (toxic, ordinary):
-        total, follow = np.bincount(at, counts), np.bincount(at, counts > 0)
-        weight = np.where(total > 0, DISCOUNT * follow / np.maximum(total, 1), 1.0)
+        total, follow = (np.bincount(at, x).astype(np.float32) for x in (counts, counts > 0))
+        weight = np.where(total > 0, DISCOUNT * follow / np.maximum(total, 1), np.float32(1))
         logs.append(np.log(np.maximum(counts - DISCOUNT, 0) / np.maximum(total, 1)[at] + weight[at] * shared))
         weights.append(np.log(weight))
     seen, unseen = np.full(1 << bits, np.nan, np.float32), np.zeros(1 << bits, np.float32)
@@ -176,12 +190,13 @@ def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
     """Learn from (id, text, label): counts from most rows, the score from the rest."""
     spark = labelled.sparkSession
     apart = F.pmod(F.xxhash64(F.col("id").cast("string")), F.lit(CALIBRATION_FOLDS)) == 0
-    table = gram_counts(word_counts(labelled.where(~apart))).toPandas()
+    table = gram_counts(word_counts(labelled.where(~apart))).select("key", *(F.col(c).cast("float") for c in ("toxic", "ordinary"))).toPandas()
     constant = Model(None, None, np.zeros(1), np.ones(1), np.zeros(2), 0.0)
     if not table.toxic.sum() or not table.ordinary.sum():
         constant.constant = float(labelled.agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0])
         return constant
-    model = Model(*ratio_tables(table.key.to_numpy(np.int64).view(np.uint64), table.toxic.to_numpy(float), table.ordinary.to_numpy(float)), np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
+    model = Model(*ratio_tables(table.key.to_numpy(np.int64).view(np.uint64), table.toxic.to_numpy(), table.ordinary.to_numpy()), np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
+    del table
     shared = spark.sparkContext.broadcast(model)
     rows = add_scores(labelled.where(apart), "text", FEATURES, lambda: shared.value.scorer()).orderBy(F.xxhash64(F.col("id").cast("string")), "id").limit(calibration_rows).drop("text").toPandas()
     if rows.label.nunique() < 2:
