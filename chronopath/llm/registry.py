@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from chronopath.llm import lengths, packing, quality, substrings, tiff, toxicity, warc
+from chronopath.llm import lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
 
 
 def queries() -> dict:
@@ -15,9 +15,12 @@ def queries() -> dict:
         "op5_lengths": lengths.op5_lengths,
         "op7_tiff": tiff.op7_tiff,
         "op8_substrings": substrings.op8_substrings,
+        "op9_lines": linechunks.op9_lines,
         "op10_quality": quality.op10_quality,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op9_lines": linechunks.OP9_SQL,
+    }
