@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from chronopath.llm import lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
+from chronopath.llm import jaccard, lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op3_pack": packing.op3_pack,
         "op4_warc": warc.op4_warc,
         "op5_lengths": lengths.op5_lengths,
+        "op6_jaccard": jaccard.op6_jaccard,
         "op7_tiff": tiff.op7_tiff,
         "op8_substrings": substrings.op8_substrings,
         "op9_lines": linechunks.op9_lines,
