@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from chronopath.llm import jaccard, lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
+from chronopath.llm import decontaminate, jaccard, lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
 
 
 def queries() -> dict:
     import corpus_pipeline
 
     return {
+        "op1_decontaminate": decontaminate.op1_decontaminate,
         "op2_toxicity": toxicity.op2_toxicity,
         "op3_pack": packing.op3_pack,
         "op4_warc": warc.op4_warc,
