@@ -30,6 +30,12 @@ def attach(docs: DataFrame, labels: DataFrame, label_col: str, id_col: str = "do
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(known, "id")
 
 
+def sample(labelled: DataFrame, rows: int, id_col: str = "id") -> DataFrame:
+    """All rows if there are at most ``rows``, else about that many: those whose id's hash is small."""
+    n, parts = labelled.count(), 1 << 20
+    return labelled if n <= rows else labelled.where(F.pmod(F.xxhash64(F.lit("sample"), F.col(id_col).cast("string")), F.lit(parts)) < rows * parts // n)
+
+
 def add_scores(docs: DataFrame, text_col: str, out: dict[str, str], scorer: Callable[[], Callable[[list], list[np.ndarray]]]) -> DataFrame:
     """Append the columns ``out`` (name -> type) that ``scorer()`` computes from texts; same-named columns give way."""
     kept = docs.drop(*out)

@@ -31,11 +31,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from chronopath.llm.common import MEMO_ENTRIES, lower_words, slices
-from chronopath.llm.labelled import add_scores, attach, fold, logistic, sigmoid
+from chronopath.llm.labelled import add_scores, attach, fold, logistic, sample, sigmoid
 
 ORDER, BITS, DISCOUNT = 8, 22, 0.75
 SPANS, FLOORS = (1, 8, 64), (2, 4)
-#: Labelled rows, out of those kept from the counts (one in CALIBRATION_FOLDS), that fit the score.
+#: Labelled rows (about), out of those kept from the counts (one in CALIBRATION_FOLDS), that fit the score.
 CALIBRATION_ROWS, CALIBRATION_FOLDS = 20_000, 5
 THRESHOLD = 0.3
 EVIDENCE = {"mean_ratio": "double"} | {f"span_{n}": "double" for n in SPANS} | {f"above_{n}": "double" for n in FLOORS}
@@ -190,15 +190,17 @@ def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
     """Learn from (id, text, label): counts from most rows, the score from the rest."""
     spark = labelled.sparkSession
     apart = F.pmod(F.xxhash64(F.col("id").cast("string")), F.lit(CALIBRATION_FOLDS)) == 0
-    table = gram_counts(word_counts(labelled.where(~apart))).select("key", *(F.col(c).cast("float") for c in ("toxic", "ordinary"))).toPandas()
+    table = gram_counts(word_counts(labelled.where(~apart))).select("key", *(F.col(c).cast("float") for c in ("toxic", "ordinary"))).toArrow()
     constant = Model(None, None, np.zeros(1), np.ones(1), np.zeros(2), 0.0)
-    if not table.toxic.sum() or not table.ordinary.sum():
+    key, toxic, ordinary = (c.to_numpy() for c in table.columns)
+    del table
+    if not toxic.sum() or not ordinary.sum():
         constant.constant = float(labelled.agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0])
         return constant
-    model = Model(*ratio_tables(table.key.to_numpy(np.int64).view(np.uint64), table.toxic.to_numpy(), table.ordinary.to_numpy()), np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
-    del table
+    model = Model(*ratio_tables(key.view(np.uint64), toxic, ordinary), np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
+    del key, toxic, ordinary
     shared = spark.sparkContext.broadcast(model)
-    rows = add_scores(labelled.where(apart), "text", FEATURES, lambda: shared.value.scorer()).orderBy(F.xxhash64(F.col("id").cast("string")), "id").limit(calibration_rows).drop("text").toPandas()
+    rows = add_scores(sample(labelled.where(apart), calibration_rows), "text", FEATURES, lambda: shared.value.scorer()).select("label", *EVIDENCE).toArrow().to_pandas()
     if rows.label.nunique() < 2:
         constant.constant = float(labelled.agg(F.avg("label")).first()[0])
         return constant
