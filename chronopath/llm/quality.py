@@ -8,7 +8,7 @@ hashed histogram of word shapes; they do not depend on length. A document's scor
 between 0 and 1 is then fitted on its margin; ``keep_top`` thresholds by a
 quantile of the scores.
 
-The fit uses at most ``FIT_ROWS`` labelled rows, the first by a hash of their id,
+The fit uses about ``FIT_ROWS`` labelled rows at most, chosen by a hash of their id,
 and ``PAIRS`` preference pairs drawn from them by a fixed generator.
 
 Edge cases: null and empty texts have the features of no words; with one class
@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from chronopath.llm.common import MEMO_ENTRIES, words
-from chronopath.llm.labelled import add_scores, attach, fold, logistic, sigmoid
+from chronopath.llm.labelled import add_scores, attach, fold, logistic, sample, sigmoid
 
 FIT_ROWS, PAIRS, SHAPES = 20_000, 60_000, 128
 THRESHOLD = 0.3
@@ -104,9 +104,7 @@ _NAMES = [f"f{i}" for i in range(CLASSES + 14 + SHAPES)]
 
 def fit(labelled: DataFrame, rows: int = FIT_ROWS, pairs: int = PAIRS, ridge: float = 3.0) -> Ranking:
     """Learn from (id, text, label)."""
-    order = F.xxhash64(F.col("id").cast("string"))
-    sample = labelled.select("id", "text", "label", order.alias("o")).orderBy("o", "id").limit(rows)
-    extracted = add_scores(sample, "text", dict.fromkeys(_NAMES, "double"), lambda: (lambda shapes=Shapes(): lambda texts: list(np.array([features(t, shapes) for t in texts]).reshape(len(texts), -1).T))()).drop("text", "o").toPandas().sort_values("id")
+    extracted = add_scores(sample(labelled.select("id", "text", "label"), rows), "text", dict.fromkeys(_NAMES, "double"), lambda: (lambda shapes=Shapes(): lambda texts: list(np.array([features(t, shapes) for t in texts]).reshape(len(texts), -1).T))()).drop("text").toArrow().to_pandas().sort_values("id")
     y, x = extracted.label.to_numpy(float), extracted[_NAMES].to_numpy(float)
     if len(np.unique(y)) < 2:
         return Ranking(np.zeros(len(_NAMES)), constant=float(y.mean()) if len(y) else 0.0)
