@@ -9,6 +9,7 @@ def queries() -> dict:
     import corpus_pipeline
 
     return {
+        "pipeline": corpus_pipeline.run,
         "op1_decontaminate": decontaminate.op1_decontaminate,
         "op2_toxicity": toxicity.op2_toxicity,
         "op3_pack": packing.op3_pack,

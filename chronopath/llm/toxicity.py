@@ -208,10 +208,10 @@ def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
     return model
 
 
-def score(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
-    """All columns of ``docs`` with ``score``, the evidence columns."""
+def score(docs: DataFrame, model: Model, text_col: str = "text", prefix: str = "") -> DataFrame:
+    """All columns of ``docs`` with ``score`` and the evidence columns, under ``prefix``."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    return add_scores(docs, text_col, FEATURES, lambda: shared.value.scorer())
+    return add_scores(docs, text_col, {prefix + name: kind for name, kind in FEATURES.items()}, lambda: shared.value.scorer())
 
 
 def fit_tables(docs: DataFrame, labels: DataFrame) -> Model:
