@@ -8,6 +8,9 @@ then place) stays and the others go, once their bytes have been found equal: the
 smallest and the largest text of the group must be the same. A group whose bytes
 differ is left alone.
 
+Texts meet their removals in sort-merge joins at every size, so that a run on a small
+table moves what a run on a large one would.
+
 Edge cases: null texts stay null and have no lines; an empty text has one empty
 line; chunks without a visible character are never removed; rows without an id
 neither lose nor claim anything; rows of one id with equal texts are one document
@@ -54,7 +57,7 @@ def removals(docs: DataFrame, divisor: int = DIVISOR) -> DataFrame:
     repeated = scratch.keep(chunks.join(first, "digest").select("id", "key", "a", "b", "digest", (place != F.col("first")).alias("later")), "repeated")
     wanted = repeated.groupBy("id", "key").agg(F.collect_list(F.struct("a", "b", "digest")).alias("wanted"))
     parts = let("lines", "split(text, '\n')", f"transform(wanted, c -> struct(c.digest as digest, {lines_text('c')} as chunk))")
-    texts = known.join(wanted, ["id", "key"]).select(F.explode(F.expr(parts)).alias("c"))
+    texts = known.join(wanted.hint("merge"), ["id", "key"]).select(F.explode(F.expr(parts)).alias("c"))
     equal = texts.groupBy("c.digest").agg((F.min("c.chunk") == F.max("c.chunk")).alias("equal")).where("equal").select("digest")
     gone = repeated.where("later").join(equal, "digest").groupBy("id", "key").agg(F.collect_list(F.struct("a", "b")).alias("gone"))
     out = scratch.keep(gone, "gone")
@@ -75,7 +78,7 @@ def remove(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", divi
     """``docs`` with the text cut; the column ``lines_removed`` counts the lines that went (0 if none)."""
     gone = removals(keyed(docs, id_col, text_col), divisor).select(F.col("id").alias("_gone_id"), F.col("key").alias("_gone_key"), F.col("gone").alias("_gone"))
     kept = docs.drop("lines_removed")
-    joined = kept.join(gone, (kept[id_col] == F.col("_gone_id")) & (F.md5(kept[text_col].cast("string").cast("binary")) == F.col("_gone_key")), "left")
+    joined = kept.join(gone.hint("merge"), (kept[id_col] == F.col("_gone_id")) & (F.md5(kept[text_col].cast("string").cast("binary")) == F.col("_gone_key")), "left")
     cut = F.when(F.col("_gone").isNull(), kept[text_col]).otherwise(F.expr(kept_text(f"split(`{text_col}`, '\n')", "_gone")))
     return joined.withColumns({text_col: cut, "lines_removed": F.coalesce(F.expr("aggregate(_gone, 0, (n, g) -> n + g.b - g.a + 1)"), F.lit(0))}).drop("_gone_id", "_gone_key", "_gone")
 
