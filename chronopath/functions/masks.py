@@ -7,7 +7,6 @@ from collections.abc import Iterable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-ALL_ONES = F.lit(-1).cast("long")
 
 
 def n_words(snapshots: int) -> int:

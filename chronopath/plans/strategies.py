@@ -85,7 +85,7 @@ def _labelled(states: dict[int, DataFrame]) -> DataFrame:
 
 
 def _stable_rows(p: Prepared, query: PathQuery) -> DataFrame:
-    grid = F.explode(F.array(*map(F.lit, query.snapshots))).cast("int").alias("snap")
+    grid = F.explode(F.array(*(F.lit(i).cast("int") for i in query.snapshots))).alias("snap")
     return B.stable_vertices(p.bound).where("val is not null").select("v", grid, "val")
 
 
@@ -135,10 +135,7 @@ def _tree(lifetimes, query, optimal: bool):
     low, high = _contiguous(query)
     counts = None
     if optimal:
-        counts = {(max(low, r["born"]), min(high + 1, r["died"])): 0 for r in []}
-        for r in E.bursts_table(lifetimes).collect():
-            key = r["born"], r["died"]
-            counts[key] = counts.get(key, 0) + r["n"]
+        counts = {(r["born"], r["died"]): r["n"] for r in E.bursts_table(lifetimes).collect()}
     return S.plan_tree(low, high, counts)
 
 
