@@ -149,7 +149,7 @@ def _sizes_sql(a, snapshots=LONG, batch=BATCH) -> str:
     counts = """(SELECT count(*) FROM core) AS core_edges, (SELECT count(*) FROM residual) AS residual_edges, (SELECT count(*) FROM bounds) AS vertices,
       (SELECT count(*) FROM unstable) AS unstable, (SELECT count(DISTINCT (src, dst)) FROM adds) AS added_distinct, (SELECT count(*) FROM adds) AS added_total,
       (SELECT count(DISTINCT (src, dst)) FROM trimmed) AS trimmed_distinct, (SELECT count(*) FROM trimmed) AS trimmed_total"""
-    shares = "residual_edges / core_edges AS edge_share, unstable / vertices AS vertex_share, added_total - added_distinct AS redundant, CASE WHEN added_total > 0 THEN trimmed_total / added_total END AS kept_share"
+    shares = "residual_edges / nullif(core_edges, 0) AS edge_share, unstable / nullif(vertices, 0) AS vertex_share, added_total - added_distinct AS redundant, CASE WHEN added_total > 0 THEN trimmed_total / added_total END AS kept_share"
     return oracles.recursive(oracles.scripted(snapshots, batch), oracles.bounds(ALGEBRAS[a], SOURCE)) + f" SELECT *, {shares} FROM (SELECT {counts})"
 
 
@@ -185,7 +185,7 @@ def oracle_sql() -> dict[str, str]:
         out[f"w1_unchanged_share_{a}"] = res + " SELECT count(*) AS vertices, sum(same::BIGINT)::BIGINT AS unchanged, avg(same::INTEGER) AS share FROM own"
         out[f"w4_detection_{a}"] = res + f""", st AS (SELECT v FROM bounds WHERE core_val = hull_val AND v <> {SOURCE}), n AS (
           SELECT (SELECT count(*) FROM st) AS stable, (SELECT count(*) FROM own WHERE same) AS unchanged, (SELECT count(*) FROM st JOIN own USING (v) WHERE same) AS found)
-          SELECT *, stable - found AS unsafe, found / unchanged AS recall FROM n"""
+          SELECT *, stable - found AS unsafe, found / nullif(unchanged, 0) AS recall FROM n"""
         out[f"w3_residual_sizes_{a}"] = _sizes_sql(a)
     columns = "core_edges, residual_edges, vertices, unstable, added_total, trimmed_total"
     out["w6_sizes_by_s"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS snapshots, {columns} FROM ({_sizes_sql('shortest', n)})" for n in (16, 32, 64))

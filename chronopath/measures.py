@@ -25,8 +25,8 @@ def detection(bound: DataFrame, results: DataFrame, snapshots: int) -> DataFrame
     stable = stable_vertices(bound).where("val is not null").select("v", F.lit(1).alias("s"))
     same = unchanged(results, snapshots).select("v", F.lit(1).alias("u"))
     both = stable.join(same, "v", "full")
-    counted = both.agg(F.count("s").alias("stable"), F.count("u").alias("unchanged"), F.sum((F.col("s").isNotNull() & F.col("u").isNotNull()).cast("long")).alias("found"))
-    return counted.withColumn("unsafe", F.col("stable") - F.col("found")).withColumn("recall", F.col("found") / F.col("unchanged"))
+    counted = both.agg(F.count("s").alias("stable"), F.count("u").alias("unchanged"), F.count_if(F.col("s").isNotNull() & F.col("u").isNotNull()).alias("found"))
+    return counted.withColumn("unsafe", F.col("stable") - F.col("found")).withColumn("recall", F.try_divide("found", "unchanged"))
 
 
 def sizes(core: DataFrame, additions: DataFrame, bound: DataFrame, unstable: DataFrame, residual: DataFrame, trimmed: DataFrame) -> DataFrame:
@@ -36,7 +36,7 @@ def sizes(core: DataFrame, additions: DataFrame, bound: DataFrame, unstable: Dat
     out = parts[0]
     for part in parts[1:]:
         out = out.join(part)
-    return out.withColumns({"edge_share": F.col("residual_edges") / F.col("core_edges"), "vertex_share": F.col("unstable") / F.col("vertices"), "redundant": F.col("added_total") - F.col("added_distinct"), "kept_share": F.when(F.col("added_total") > 0, F.col("trimmed_total") / F.col("added_total"))})
+    return out.withColumns({"edge_share": F.try_divide("residual_edges", "core_edges"), "vertex_share": F.try_divide("unstable", "vertices"), "redundant": F.col("added_total") - F.col("added_distinct"), "kept_share": F.try_divide("trimmed_total", "added_total")})
 
 
 def bound_widths(bound: DataFrame, edges: list[float]) -> DataFrame:
@@ -48,7 +48,7 @@ def bound_widths(bound: DataFrame, edges: list[float]) -> DataFrame:
 
 def average_degree(edges: DataFrame) -> DataFrame:
     ends = edges.select(F.explode(F.array("src", "dst")).alias("v")).agg(F.count_distinct("v").alias("vertices"))
-    return edges.agg(F.count("*").alias("edges")).join(ends).withColumn("degree", F.col("edges") / F.col("vertices")).withColumn("degree_both", 2 * F.col("edges") / F.col("vertices"))
+    return edges.agg(F.count("*").alias("edges")).join(ends).withColumn("degree", F.try_divide("edges", "vertices")).withColumn("degree_both", 2 * F.try_divide("edges", "vertices"))
 
 
 def compression(state_rows: int, vertices: int, snapshots: int) -> float:

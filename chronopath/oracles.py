@@ -39,7 +39,7 @@ def mask(low: str = "born", high: str = "died") -> str:
     return f"(SELECT sum(CASE WHEN b = 63 THEN -9223372036854775808 ELSE (1::BIGINT << b::INTEGER)::HUGEINT END)::BIGINT FROM range({low}, {high}) AS t(b))"
 
 
-def paths(name: str, edges: str, algebra: PathAlgebra, source: int) -> str:
+def paths(name: str, edges: str, algebra: PathAlgebra, source: int, starts: str = "(SELECT 0 AS snap)") -> str:
     """``name(snap, v, val)``: best values over ``edges`` (a query of snap, src, dst, w)."""
     keep = "min" if algebra.direction == "min" else "max"
     better = "<" if algebra.direction == "min" else ">"
@@ -47,7 +47,7 @@ def paths(name: str, edges: str, algebra: PathAlgebra, source: int) -> str:
     extend = algebra.extend_sql.format(val="p.val", w="e.w")
     return f"""{name}_edges AS MATERIALIZED ({edges}),
 {name}(snap, v, val) USING KEY (snap, v) AS (
-  SELECT snap, {source}::BIGINT, {start} FROM (SELECT DISTINCT snap FROM {name}_edges)
+  SELECT snap, {source}::BIGINT, {start} FROM {starts}
   UNION
   (SELECT c.snap, c.v, c.val FROM (
      SELECT e.snap AS snap, e.dst AS v, {keep}({extend}) AS val
@@ -58,7 +58,7 @@ def paths(name: str, edges: str, algebra: PathAlgebra, source: int) -> str:
 
 
 def per_snapshot(algebra: PathAlgebra, source: int) -> str:
-    return paths("res", "SELECT snap, src, dst, w FROM lt, snaps WHERE born <= snap AND snap < died", algebra, source)
+    return paths("res", "SELECT snap, src, dst, w FROM lt, snaps WHERE born <= snap AND snap < died", algebra, source, "snaps")
 
 
 def bounds(algebra: PathAlgebra, source: int) -> str:
