@@ -194,4 +194,5 @@ def oracle_sql() -> dict[str, str]:
     through = lambda i, j: f"count(*) FILTER (WHERE born <= {i} AND died > {j})"
     rows = [f"SELECT {i}::INTEGER AS lo, {j}::INTEGER AS hi, {through(i, j)}{'' if p is None else ' - ' + through(p, q)} AS n_added FROM lt" for i, j, p, q in ranges]
     out["sharing_tree_additions"] = with_(oracles.scripted(8, BATCH)) + " " + " UNION ALL ".join(rows)
+    out |= {f"graph_{g}_edges": sql for g, sql in oracles.GRAPH_SQL.items()}
     return out | relational.oracle_sql() | streams.oracle_sql()
