@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from chronopath import measures, oracles
-from chronopath.functions.algebra import ALGEBRAS
+from chronopath.functions import tables
+from chronopath.functions.algebra import ALGEBRAS, PathAlgebra
+from chronopath.functions.masks import expand
 from chronopath.operators import relational
 from chronopath.plans import concurrent as C
 from chronopath.plans import evolve as E
@@ -123,8 +125,31 @@ def _tree(spark, sf_dir):
     return spark.createDataFrame(sharing.tree_sizes(counts, sharing.plan_tree(0, 7)), "lo int, hi int, n_added long")
 
 
+def _scaled(spark, sf_dir):
+    """An algebra of the user's own: each further edge counts its weight plus a tenth of the way so far."""
+    algebra = PathAlgebra("scaled", lambda val, w: val * 1.1 + w, "{val} * 1.1 + {w}", "min", 0.0)
+    return solve_full(graphs.basket(spark, sf_dir), SOURCE, algebra).where(F.col("v") != SOURCE).select("v", F.round("val", 6).alias("val"))
+
+
+def _local(spark, sf_dir):
+    rows = expand(E.masked(lifetimes(spark, sf_dir, SHORT), range(SHORT)).drop("chosen"))
+    return tables.local_finish(rows, ALGEBRAS["shortest"], SOURCE).where(F.col("v") != SOURCE)
+
+
+def _by_table_function(spark, sf_dir):
+    tables.register(spark)
+    E.masked(lifetimes(spark, sf_dir, SHORT), range(SHORT)).createOrReplaceTempView("chronopath_masked")
+    return spark.sql("SELECT src, dst, snap FROM chronopath_masked, LATERAL mask_to_snapshots(mask, word)")
+
+
+def _streamed(spark, sf_dir):
+    lt = lifetimes(spark, sf_dir, SHORT)
+    return streams.run_incremental(E.snapshot(lt, 0), store(E.batches(lt, SHORT)), SOURCE, ALGEBRAS["shortest"]).where(F.col("v") != SOURCE)
+
+
 def queries() -> dict:
-    out = {"entry_shortest": lambda spark, sf_dir: S.run("residual_conc", lifetimes(spark, sf_dir, 8, 20), query("shortest", 8))[0]}
+    out = {"udf_custom_algebra": _scaled, "udf_local_finish": _local, "udtf_expand_mask": _by_table_function, "stream_incremental_shortest": _streamed}
+    out |= {"entry_shortest": lambda spark, sf_dir: S.run("residual_conc", lifetimes(spark, sf_dir, 8, 20), query("shortest", 8))[0]}
     out |= {f"full_{a}": partial(_full, a) for a in ALGEBRAS}
     out |= {"core_edges": _core, "hull_edges": _hull, "batches_basket": _batches, "lifetimes_round_trip": _round_trip}
     out["addition_sets"] = lambda spark, sf_dir: prepared(spark, sf_dir, "shortest").additions.select("src", "dst", "w", "mask")
@@ -157,7 +182,13 @@ def oracle_sql() -> dict[str, str]:
     script, with_ = oracles.scripted(LONG, BATCH), oracles.recursive
     bits = f"SELECT src, dst, w, {oracles.mask()} AS mask FROM lt"
     partly = f"SELECT src, dst, w, {oracles.mask()} AS mask FROM lt WHERE NOT (born = 0 AND died = {LONG})"
+    short = with_(oracles.scripted(SHORT, BATCH), oracles.per_snapshot(ALGEBRAS["shortest"], SOURCE))
+    scaled = PathAlgebra("scaled", None, "{val} * 1.1 + {w}", "min", 0.0)
     out = {
+        "udf_custom_algebra": with_(oracles.BASKET, oracles.paths("res", "SELECT 0 AS snap, src, dst, w FROM g", scaled, SOURCE)) + f" SELECT v, round(val, 6) AS val FROM res WHERE v <> {SOURCE}",
+        "udf_local_finish": short + f" SELECT v, snap, val FROM res WHERE v <> {SOURCE}",
+        "stream_incremental_shortest": short + f" SELECT v, val FROM res WHERE v <> {SOURCE} AND snap = {SHORT - 1}",
+        "udtf_expand_mask": with_(oracles.scripted(SHORT, BATCH)) + " SELECT src, dst, snap FROM lt, snaps WHERE born <= snap AND snap < died",
         "entry_shortest": with_(oracles.scripted(8, 20), oracles.per_snapshot(ALGEBRAS["shortest"], SOURCE)) + " SELECT v, snap, val FROM res",
         "core_edges": with_(script, oracles.CORE) + " SELECT * FROM core",
         "hull_edges": with_(script, oracles.HULL) + " SELECT * FROM hull",

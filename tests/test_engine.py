@@ -207,3 +207,30 @@ def test_round_plan_stays_in_the_jvm(spark):
     edges = spark.createDataFrame([(0, 1, 1.0, 0, 3)], "src long, dst long, w double, word int, mask long")
     plan = C.resolve(state, C.send(state, edges, SHORTEST), SHORTEST)._jdf.queryExecution().toString()
     assert "Cartesian" not in plan and "Python" not in plan and "Arrow" not in plan
+
+
+def test_readers_and_writers(spark, tmp_path):
+    from chronopath.sources import files
+
+    edges = spark.createDataFrame([(0, 1, 2.5), (1, 2, 1.0)], "src long, dst long, w double")
+    for kind in ("parquet", "orc", "json", "csv", "text"):
+        files.write_edges(edges, f"{tmp_path}/{kind}", kind)
+        assert sorted(files.read_edges(spark, f"{tmp_path}/{kind}", kind).collect()) == sorted(edges.collect())
+    (tmp_path / "lines.txt").write_text("# a comment\n3\t4\n")
+    assert [tuple(r) for r in files.read_edges(spark, f"{tmp_path}/lines.txt", "text").collect()] == [(3, 4, 1.0)]
+    spark.dataSource.register(files.SyntheticUpdates)
+    updates = spark.read.format("synthetic_updates").option("steps", 3).load()
+    files.write_batches(updates, f"{tmp_path}/batches")
+    some = files.read_batches(spark, f"{tmp_path}/batches", 2, 2)
+    assert some.count() == 10 and "PartitionFilters: [isnotnull(step" in some._jdf.queryExecution().toString()
+
+
+def test_table_function_and_local_solver(spark):
+    from chronopath.functions import tables
+
+    tables.register(spark)
+    assert [r.snap for r in spark.sql("SELECT * FROM mask_to_snapshots(-9223372036854775807L, 1)").collect()] == [64, 127]
+    rows = random_lives(3, vertices=10, snapshots=2)
+    alive = spark.createDataFrame([(i, a, b, w) for a, b, w, born, died in rows for i in range(born, died)], "snap int, src long, dst long, w double")
+    got = answer(tables.local_finish(alive, SHORTEST, 0))
+    assert got == everywhere(rows, range(2), 0, SHORTEST)
