@@ -1,8 +1,8 @@
 """Relaxation loops: full evaluation from a source, and addition-only relaxation.
 
-A round is one plan: frontier joined with edges on their source, candidates
-combined by destination (partially before the shuffle), joined with the values,
-kept where better, and written. The number of rows that changed is observed while
+A round is one plan: frontier joined with edges on their source, candidates and
+values combined by vertex in one aggregation (partially before its shuffle), and
+written. The number of rows that changed is observed while
 they are written; nothing else comes to the driver.
 """
 
@@ -33,34 +33,32 @@ def start_state(spark, source: int, algebra: PathAlgebra) -> DataFrame:
     return spark.createDataFrame([(source, algebra.source_value)], "v long, val double")
 
 
-def _relax(state: DataFrame, cost: DataFrame, algebra: PathAlgebra) -> DataFrame:
-    """State with candidates (v, cand[, parent]) merged; ``fresh`` marks rows that got better."""
-    old = state.select("v", F.col("val").alias("old"), *([F.col("parent").alias("old_parent")] if "parent" in state.columns else []))
-    both = old.join(cost, "v", "full")
-    fresh = F.col("cand").isNotNull() & (F.col("old").isNull() | algebra.better(F.col("cand"), F.col("old")))
-    columns = ["v", F.when(fresh, F.col("cand")).otherwise(F.col("old")).alias("val"), F.coalesce(fresh, F.lit(False)).alias("fresh"), "met"]
-    if "parent" in state.columns:
-        columns.insert(2, F.when(fresh, F.col("parent")).otherwise(F.col("old_parent")).alias("parent"))
-    return both.select(*columns)
+def candidates(frontier: DataFrame, edges: DataFrame, algebra: PathAlgebra) -> DataFrame:
+    """(v, cand, sender): what frontier vertices offer to their neighbours."""
+    return frontier.select(F.col("v").alias("sender"), "val").join(edges, F.col("sender") == F.col("src")).select(F.col("dst").alias("v"), algebra.extend(F.col("val"), F.col("w")).alias("cand"), "sender")
 
 
-def candidates(frontier: DataFrame, edges: DataFrame, algebra: PathAlgebra, parents: bool = False) -> DataFrame:
-    """Best candidate of each destination, with the smallest parent that gives it if asked."""
-    sent = frontier.select(F.col("v").alias("src"), "val").join(edges, "src").select(F.col("dst").alias("v"), algebra.extend(F.col("val"), F.col("w")).alias("cand"), "src")
-    if not parents:
-        return sent.groupBy("v").agg(algebra.keep(F.col("cand")).alias("cand"), F.count("*").alias("met"))
-    best = F.min(F.struct(algebra.cost(F.col("cand")).alias("k"), F.col("src"), F.col("cand")))
-    return sent.groupBy("v").agg(best.alias("b"), F.count("*").alias("met")).select("v", F.col("b.cand").alias("cand"), F.col("b.src").alias("parent"), "met")
+def _relax(state: DataFrame, sent: DataFrame, algebra: PathAlgebra) -> DataFrame:
+    """State merged with candidates by one aggregation; ``fresh`` marks rows that got better, ``met`` counts candidates."""
+    parents, none = "parent" in state.columns, F.lit(None)
+    rows = state.select("v", F.col("val").alias("old"), (F.col("parent") if parents else none.cast("long")).alias("old_parent"), none.cast("double").alias("cand"), none.cast("long").alias("sender"))
+    rows = rows.unionByName(sent.select("v", none.cast("double").alias("old"), none.cast("long").alias("old_parent"), "cand", "sender"))
+    found = [F.max("old").alias("old"), algebra.keep(F.col("cand")).alias("cand"), F.count("cand").alias("met")]
+    if parents:  # of equal offers that of the smallest sender
+        offer = F.when(F.col("cand").isNotNull(), F.struct(algebra.cost(F.col("cand")), "sender"))
+        found += [F.max("old_parent").alias("old_parent"), F.min_by("sender", offer).alias("sender")]
+    fresh = F.col("cand").isNotNull() & (F.col("old").isNull() | algebra.better(F.col("cand"), F.col("old")))
+    columns = ["v", F.when(fresh, F.col("cand")).otherwise(F.col("old")).alias("val"), fresh.alias("fresh"), "met"]
+    if parents:
+        columns.append(F.when(fresh, F.col("sender")).otherwise(F.col("old_parent")).alias("parent"))
+    return rows.groupBy("v").agg(*found).select(*columns)
 
 
 def iterate(state: DataFrame, edges: DataFrame, algebra: PathAlgebra, work: Work, first: DataFrame | None = None) -> DataFrame:
     """Relax until nothing changes. ``first``: candidates to begin with; by default all of ``state`` is the frontier."""
-    parents, stored = "parent" in state.columns, None
-    cost = candidates(state, edges, algebra, parents) if first is None else first
+    stored, sent = None, candidates(state, edges, algebra) if first is None else first
     for _ in range(MAX_ROUNDS):
-        sent = F.sum(F.coalesce("met", F.lit(0)))
-        merged = _relax(state, cost, algebra)
-        after = Stored(merged, "state", fresh=F.sum(F.col("fresh").cast("long")), met=sent)
+        after = Stored(_relax(state, sent, algebra), "state", fresh=F.sum(F.col("fresh").cast("long")), met=F.sum("met"))
         if stored is not None:
             stored.drop()
         stored, state = after, after.df.drop("fresh", "met")
@@ -69,7 +67,7 @@ def iterate(state: DataFrame, edges: DataFrame, algebra: PathAlgebra, work: Work
         work.evaluations += after.seen["met"]
         if not after.seen["fresh"]:
             return state
-        cost = candidates(after.df.where("fresh"), edges, algebra, parents)
+        sent = candidates(after.df.where("fresh"), edges, algebra)
     raise RuntimeError("relaxation did not end: the algebra breaks its contract")
 
 
@@ -83,5 +81,4 @@ def solve_full(edges: DataFrame, source: int, algebra: PathAlgebra, work: Work |
 
 def relax_additions(state: DataFrame, base: DataFrame, added: DataFrame, algebra: PathAlgebra, work: Work | None = None) -> DataFrame:
     """Values after edges are added: only added edges are tried first, then what they improve spreads."""
-    parents = "parent" in state.columns
-    return iterate(state, base.unionByName(added), algebra, work or Work(), candidates(state, added, algebra, parents))
+    return iterate(state, base.unionByName(added), algebra, work or Work(), candidates(state, added, algebra))

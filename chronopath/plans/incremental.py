@@ -37,7 +37,7 @@ def apply_deletions(state: DataFrame, edges: DataFrame, deleted: DataFrame, alge
     """State after ``deleted`` left; ``edges`` is the graph without them."""
     bad = invalidated(state, deleted)
     valid = store(state.join(bad, "v", "left_anti").select("v", "val", "parent"), "valid")
-    seeds = candidates(valid, edges.join(bad.select(F.col("v").alias("dst")), "dst", "left_semi"), algebra, True)
+    seeds = candidates(valid, edges.join(bad.select(F.col("v").alias("dst")), "dst", "left_semi"), algebra)
     return iterate(valid, edges, algebra, work or Work(), seeds)
 
 
@@ -48,6 +48,6 @@ def apply_batch(state: DataFrame, before: DataFrame, after: DataFrame, batch: Da
         bad = invalidated(state, deleted)
         valid = store(state.join(bad, "v", "left_anti").select("v", "val", "parent"), "valid")
         into_bad = after.join(bad.select(F.col("v").alias("dst")), "dst", "left_semi").select("src", "dst", "w")
-        return iterate(valid, after, algebra, work or Work(), candidates(valid, into_bad.unionByName(added), algebra, True))
+        return iterate(valid, after, algebra, work or Work(), candidates(valid, into_bad.unionByName(added), algebra))
     kept = before.join(deleted.select("src", "dst"), ["src", "dst"], "left_anti").select("src", "dst", "w")
     return relax_additions(apply_deletions(state, kept, deleted, algebra, work), kept, added, algebra, work)

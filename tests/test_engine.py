@@ -104,7 +104,7 @@ def test_bounds_enclose_and_settle_safely(spark, name):
 
 @pytest.mark.parametrize("name,strategies", [("shortest", tuple(S.STRATEGIES)), ("widest", ("residual_conc", "residual_conc_shared", "stream_inc", "residual_share")), ("hops", ("residual_conc", "stream_inc")), ("narrowest", ("residual_conc", "core_share")), ("likeliest", ("residual_conc", "residual_seq"))])
 def test_strategies_agree(spark, name, strategies):
-    rows, algebra = random_lives(7, vertices=14, snapshots=3), ALGEBRAS[name]
+    rows, algebra = random_lives(7, vertices=12, snapshots=3), ALGEBRAS[name]
     truth = everywhere(rows, range(3), 0, algebra)
     for s in strategies:
         assert answer(S.run(s, lives(spark, rows), S.PathQuery(0, algebra, (0, 1, 2)))[0]) == truth, s
