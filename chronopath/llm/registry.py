@@ -25,5 +25,7 @@ def queries() -> dict:
 
 def oracle_sql() -> dict[str, str]:
     return {
+        "op4_warc": warc.OP4_SQL,
+        "op8_substrings": substrings.OP8_SQL,
         "op9_lines": linechunks.OP9_SQL,
     }

@@ -186,3 +186,20 @@ def remove(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
 
 def op8_substrings(spark, sf_dir: str) -> DataFrame:
     return digest(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+OP8_SQL = f"""
+WITH w AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM documents
+), places AS (SELECT doc_id, ws, unnest(range(1, len(ws) + 1)) AS i FROM w),
+windows AS (SELECT doc_id, i, array_to_string(ws[i : i + {WINDOW - 1}], ' ') AS g FROM places WHERE i + {WINDOW - 1} <= len(ws)),
+earliest AS (SELECT g, min(doc_id) AS d FROM windows GROUP BY g),
+hits AS (SELECT doc_id, i FROM windows JOIN earliest USING (g) WHERE d < doc_id),
+gone AS (SELECT DISTINCT doc_id, i + k AS i FROM hits, range({WINDOW}) AS t(k)),
+kept AS (
+  SELECT p.doc_id, count(g.i) AS n_removed, string_agg(CASE WHEN g.i IS NULL THEN p.ws[p.i] END, ' ' ORDER BY p.i) AS rest
+  FROM places p LEFT JOIN gone g ON p.doc_id = g.doc_id AND p.i = g.i GROUP BY p.doc_id
+)
+SELECT w.doc_id, len(ws)::BIGINT AS n_words, coalesce(n_removed, 0)::BIGINT AS n_removed, sha256(coalesce(rest, '')) AS kept_sha256
+FROM w LEFT JOIN kept USING (doc_id)
+"""

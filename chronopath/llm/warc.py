@@ -210,3 +210,13 @@ def write_pages(pages: DataFrame, id_col: str = "page_id", payload_col: str = "h
 def op4_warc(spark, sf_dir: str) -> DataFrame:
     stored = write_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"))
     return read_bundles(stored).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url")
+
+
+OP4_SQL = """
+WITH p AS (SELECT page_id, url, coalesce(html, '') AS h FROM pages),
+m AS (SELECT *, max(page_id) OVER (PARTITION BY h) AS k FROM p)
+SELECT page_id, strlen(h)::BIGINT AS payload_bytes, sha1(h) AS payload_digest,
+       CASE WHEN strlen(h) >= 1000 AND page_id < k THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN strlen(h) >= 1000 AND page_id < k THEN k END AS refers_to, url
+FROM m
+"""
