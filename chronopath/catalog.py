@@ -23,7 +23,7 @@ from chronopath.storage import store
 from chronopath.streaming import streams
 
 SOURCE, BATCH = 0, 100
-LONG, SHORT = 64, 4  # snapshots of the concurrent strategies; of those that loop over snapshots
+LONG, SHORT = 64, 3  # snapshots of the concurrent strategies; of those that loop over snapshots
 TOGETHER = ("recompute_together", "residual_conc", "residual_conc_shared", "core_conc")
 
 _memo: dict[tuple, object] = {}
