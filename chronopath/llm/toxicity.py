@@ -5,8 +5,14 @@ n-grams of bytes (a word's first bytes follow blanks, its last is followed by
 one). Each class has its own discounted counts at the highest order and backs off
 to one distribution of continuation counts that both share. For an n-gram that
 neither class has seen, that shared factor is the same on both sides, so only the
-ratio of the back-off weights is left: a scorer needs two arrays, whose size is
-fixed by ``BITS`` (n-grams meet in hash buckets), whatever the corpus.
+ratio of the back-off weights is left: a scorer needs two numbers an n-gram.
+
+Every n-gram keeps counts of its own in a table. All shorter forms and the context
+of an n-gram share the two bytes before its last one, so the back-off is worked out
+for each such pair apart, given the probabilities of two bytes (65,536 at most),
+which come from the whole table. Texts are packed into blocks that ask for the ratios
+of their distinct words; equal words of all blocks meet in shards, which ask for their
+distinct n-grams. Neither the driver nor an executor ever holds a whole table.
 
 A text's evidence is the log-likelihood ratio divided by length: over the whole
 text, over its strongest spans of 1, 8 and 64 words, and counting only what single
@@ -21,19 +27,24 @@ all); repeated rows count and are scored each; other columns pass through.
 
 from __future__ import annotations
 
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from uuid import uuid4
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from chronopath.llm.common import MEMO_ENTRIES, lower_words, slices
-from chronopath.llm.labelled import add_scores, attach, fold, logistic, sample, sigmoid
+from chronopath.llm.common import MEMO_ENTRIES, Scratch, lower_words, mix, slices
+from chronopath.llm.labelled import attach, fold, logistic, sample, sigmoid
 
-ORDER, BITS, DISCOUNT = 8, 22, 0.75
+ORDER, DISCOUNT = 8, 0.75
+#: Bytes of text packed together, shards of words and n-grams at least, words cut into n-grams at once. They bound memory only.
+BLOCK_BYTES, SHARDS, WORDS_AT_ONCE = 8 << 20, 16, 20_000
 SPANS, FLOORS = (1, 8, 64), (2, 4)
 #: Labelled rows (about), out of those kept from the counts (one in CALIBRATION_FOLDS), that fit the score.
 CALIBRATION_ROWS, CALIBRATION_FOLDS = 20_000, 5
@@ -57,48 +68,14 @@ def grams(tokens: list[bytes], order: int = ORDER) -> tuple[np.ndarray, np.ndarr
     return key[inside], word[inside]
 
 
-def bucket(keys: np.ndarray, bits: int = BITS) -> np.ndarray:
-    return (keys * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - bits)).astype(np.int64)
-
-
 @dataclass
 class Model:
-    seen: np.ndarray | None  # log ratio of an n-gram seen in training, by bucket; NaN if unseen
-    unseen: np.ndarray | None  # log ratio of the back-off weights, by bucket of the context
+    table: DataFrame | None  # (key, seen, unseen): log ratio of each n-gram seen in training, and of its context's back-off weights
     mean: np.ndarray
     scale: np.ndarray
     weights: np.ndarray
     constant: float | None = None
 
-    def scorer(self):
-        memo: dict[bytes, float] = {}
-
-        def ratios(tokens: list[bytes]) -> np.ndarray:
-            return np.fromiter(map(memo.__getitem__, tokens), np.float64, len(tokens))
-
-        def score(texts: list[str | None]) -> list[np.ndarray]:
-            docs = [lower_words(t) for t in texts]
-            if self.constant is not None:
-                return [np.full(len(docs), self.constant), *np.zeros((N_EVIDENCE, len(docs)))]
-            new = list({w for doc in docs for w in doc if w not in memo})
-            if len(memo) + len(new) > MEMO_ENTRIES:
-                memo.clear()
-                new = list({w for doc in docs for w in doc})
-            memo.update(zip(new, self.of_words(new).tolist()))
-            x = np.array([evidence(ratios(doc)) for doc in docs]).reshape(-1, N_EVIDENCE)
-            return [self.probability(x), *x.T]
-
-        return score
-
-    def of_words(self, tokens: list[bytes]) -> np.ndarray:
-        key, word = grams(tokens)
-        value = self.seen[bucket(key)]
-        value = np.where(np.isnan(value), self.unseen[bucket(key >> np.uint64(8))], value)
-        return np.bincount(word, value, minlength=len(tokens))
-
-    def probability(self, x: np.ndarray) -> np.ndarray:
-        return sigmoid(self.weights[0] + ((x - self.mean) / self.scale) @ self.weights[1:])
-
 
 def evidence(ratio: np.ndarray) -> list[float]:
     """Length-normalised log-likelihood ratio: of the text, of its strongest span of each size, above each floor."""
@@ -130,30 +107,34 @@ def word_counts(labelled: DataFrame) -> DataFrame:
     return labelled.select("text", "label").mapInArrow(run, "word binary, toxic long, ordinary long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary"))
 
 
-def gram_counts(words: DataFrame, bits: int = BITS) -> DataFrame:
-    """(bucket, key, toxic, ordinary): at most 2 ** bits rows; of n-grams that meet, the smallest names the bucket."""
+def gram_counts(words: DataFrame) -> DataFrame:
+    """(key, toxic, ordinary): a row for each n-gram."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             key, word = grams(batch.column(0).to_pylist())
             found, at = np.unique(key, return_inverse=True)
             sums = [np.bincount(at, np.asarray(batch.column(i), dtype=np.float64)[word], minlength=len(found)).astype(np.int64) for i in (1, 2)]
-            yield pa.RecordBatch.from_arrays([pa.array(bucket(found, bits)), pa.array(found.astype(np.int64)), *map(pa.array, sums)], names=["bucket", "key", "toxic", "ordinary"])
+            yield pa.RecordBatch.from_arrays([pa.array(found.view(np.int64)), *map(pa.array, sums)], names=["key", "toxic", "ordinary"])
 
-    counted = words.mapInArrow(run, "bucket long, key long, toxic long, ordinary long")
-    return counted.groupBy("bucket").agg(F.min("key").alias("key"), F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary"))
+    return words.mapInArrow(run, "key long, toxic long, ordinary long").groupBy("key").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary"))
 
 
-def continuation(keys: np.ndarray, order: int) -> np.ndarray:
+def continuation(keys: np.ndarray, order: int, pairs: np.ndarray | None = None) -> np.ndarray:
     """Kneser-Ney probability of each n-gram's last byte given the others, from the number
-    of different left neighbours; ``keys`` has an n-gram once for each of these."""
+    of different left neighbours; ``keys`` has an n-gram once for each of these. With
+    ``pairs``, the probabilities of all two bytes, ``keys`` may be only those n-grams that
+    have certain two bytes before the last."""
     levels = []
-    for k in range(order, 0, -1):
+    for k in range(order, 0 if pairs is None else 2, -1):
         keys_here = keys if k == order else levels[-1][0] & _low(k)
         found, n = np.unique(keys_here, return_counts=True)
         levels.append((found, n.astype(np.float32)))
-    found, n = levels.pop()
-    p = (0.999 * n / n.sum() + 0.001 / 256).astype(np.float32)
+    if pairs is None:
+        found, n = levels.pop()
+        p = (0.999 * n / n.sum() + 0.001 / 256).astype(np.float32)
+    else:
+        found, p = np.arange(1 << 16, dtype=np.uint64), pairs
     while levels:
         shorter, low = found, p
         found, n = levels.pop()
@@ -170,48 +151,205 @@ def _low(k: int) -> np.uint64:
     return np.uint64((1 << 8 * k) - 1)
 
 
-def ratio_tables(keys: np.ndarray, toxic: np.ndarray, ordinary: np.ndarray, order: int = ORDER, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
-    """Log ratios of seen n-grams and of back-off weights, by bucket."""
-    shared = continuation(keys & _low(order - 1), order - 1)
-    contexts, at = np.unique(bucket(keys >> np.uint64(8), bits), return_inverse=True)
+def pair_probabilities(counts: DataFrame) -> np.ndarray:
+    """Continuation probability of each two bytes, from the different bytes before them in the whole table."""
+    three = counts.select(F.col("key").bitwiseAND(0xFFFFFF).alias("three")).distinct()
+    pair, n = (c.to_numpy() for c in three.groupBy(F.col("three").bitwiseAND(0xFFFF).alias("pair")).agg(F.count("*").alias("n")).toArrow().columns)
+    first = np.cumsum(n) - n
+    out = np.zeros(1 << 16, np.float32)
+    out[pair] = continuation(np.repeat(pair.astype(np.uint64), n), 2)[first]
+    return out
+
+
+def ratios(keys: np.ndarray, toxic: np.ndarray, ordinary: np.ndarray, pairs: np.ndarray, order: int = ORDER) -> tuple[np.ndarray, np.ndarray]:
+    """Log ratio of each n-gram and of its context's back-off weights; all n-grams of a context come together."""
+    shared = continuation(keys & _low(order - 1), order - 1, pairs)
+    _, at = np.unique(keys >> np.uint64(8), return_inverse=True)
     logs, weights = [], []
     for counts in (toxic, ordinary):
         total, follow = (np.bincount(at, x).astype(np.float32) for x in (counts, counts > 0))
         weight = np.where(total > 0, DISCOUNT * follow / np.maximum(total, 1), np.float32(1))
         logs.append(np.log(np.maximum(counts - DISCOUNT, 0) / np.maximum(total, 1)[at] + weight[at] * shared))
         weights.append(np.log(weight))
-    seen, unseen = np.full(1 << bits, np.nan, np.float32), np.zeros(1 << bits, np.float32)
-    seen[bucket(keys, bits)] = logs[0] - logs[1]
-    unseen[contexts] = weights[0] - weights[1]
-    return seen, unseen
+    return logs[0] - logs[1], (weights[0] - weights[1])[at]
+
+
+def ratio_table(counts: DataFrame) -> DataFrame:
+    """(key, seen, unseen) of (key, toxic, ordinary)."""
+    pairs = pair_probabilities(counts)
+
+    def run(rows: pa.Table) -> pa.Table:
+        key, toxic, ordinary = (rows.column(c).to_numpy() for c in ("key", "toxic", "ordinary"))
+        found = ratios(key.view(np.uint64), toxic, ordinary, pairs)
+        return pa.table([pa.array(key), *(pa.array(x.astype(np.float32)) for x in found)], names=["key", "seen", "unseen"])
+
+    middle = F.shiftright("key", 8).bitwiseAND(0xFFFF)
+    return counts.withColumn("middle", middle).groupBy("middle").applyInArrow(run, "key long, seen float, unseen float")
+
+
+def shard(keys: np.ndarray, shards: int) -> np.ndarray:
+    """Part of the table that knows an n-gram and its context."""
+    return (mix(keys >> np.uint64(8)) % np.uint64(shards)).astype(np.int32)
+
+
+def look_up(asked: np.ndarray, keys: np.ndarray, seen: np.ndarray, unseen: np.ndarray) -> np.ndarray:
+    """Log ratio of each n-gram asked for: its own, else its context's, else 0; ``keys`` are sorted."""
+    out = np.zeros(len(asked), np.float32)
+    for shift, values in ((8, unseen), (0, seen)):
+        known, wanted = keys >> np.uint64(shift), asked >> np.uint64(shift)
+        at = np.searchsorted(known, wanted)
+        hit = np.flatnonzero(at < len(known))
+        hit = hit[known[at[hit]] == wanted[hit]]
+        out[hit] = values[at[hit]]
+    return out
+
+
+def packed(docs: DataFrame, text_col: str, shards: int) -> DataFrame:
+    """Blocks of rows: one row (block, -1, null, rows as an Arrow stream) and one (block, shard, its words, null) for each shard asked."""
+    at = docs.columns.index(text_col)
+
+    def rows(parts: list[pa.RecordBatch], words: set[bytes]) -> pa.RecordBatch:
+        sink, homes = pa.BufferOutputStream(), {}
+        with pa.ipc.new_stream(sink, parts[0].schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 5))) as out:
+            for part in parts:
+                out.write_batch(part)
+        for word in sorted(words):
+            homes.setdefault(zlib.crc32(word) % shards, []).append(word)
+        block = uuid4().hex
+        return pa.RecordBatch.from_arrays(
+            [pa.array([block] * (1 + len(homes))), pa.array([-1, *homes], pa.int32()), pa.array([None, *(zlib.compress(b" ".join(own), 3) for own in homes.values())], pa.binary()), pa.array([sink.getvalue().to_pybytes(), *[None] * len(homes)], pa.binary())],
+            names=["block", "shard", "words", "rows"],
+        )
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, words, size = [], set(), 0
+        for batch in slices(batches, text_col):
+            texts = batch.column(at).to_pylist()
+            for text in texts:
+                words.update(lower_words(text))
+            parts.append(batch)
+            size += sum(len(t) for t in texts if t)
+            if size >= BLOCK_BYTES:
+                yield rows(parts, words)
+                parts, words, size = [], set(), 0
+        if parts:
+            yield rows(parts, words)
+
+    return docs.mapInArrow(run, "block string, shard int, words binary, rows binary")
+
+
+def unpacked(words: bytes) -> list[bytes]:
+    return zlib.decompress(words).split()
+
+
+def distinct_words(asked: pa.Table) -> list[bytes]:
+    found = set()
+    for words in asked.column("words").to_pylist():
+        found.update(unpacked(words))
+    return sorted(found)
+
+
+def portions(tokens: list[bytes]) -> Iterator[tuple[list[bytes], np.ndarray, np.ndarray]]:
+    """(some words, their n-grams, index of the word of each) until all words are through."""
+    for at in range(0, len(tokens), WORDS_AT_ONCE):
+        own = tokens[at : at + WORDS_AT_ONCE]
+        yield own, *grams(own)
+
+
+def distinct_grams(tokens: list[bytes]) -> np.ndarray:
+    return np.unique(np.concatenate([np.zeros(0, np.uint64), *(np.unique(key) for _, key, _ in portions(tokens))]))
+
+
+def word_ratios(asked: DataFrame, table: DataFrame, shards: int) -> DataFrame:
+    """(block, words, found: float32 log ratio of each word) of (block, shard, words)."""
+
+    def located(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(shard(batch.column(0).to_numpy().view(np.uint64), shards))], names=[*batch.schema.names, "part"])
+
+    def wanted(asked: pa.Table) -> pa.Table:
+        keys = distinct_grams(distinct_words(asked))
+        home = shard(keys, shards)
+        parts = np.unique(home)
+        return pa.table([pa.array([asked.column("shard")[0].as_py()] * len(parts), pa.int32()), pa.array(parts, pa.int32()), pa.array([keys[home == k].tobytes() for k in parts], pa.binary())], names=["shard", "part", "keys"])
+
+    def answer(wanted: pa.Table, known: pa.Table) -> pa.Table:
+        keys = known.column("key").to_numpy().view(np.uint64)
+        order = np.argsort(keys)
+        keys, seen, unseen = keys[order], known.column("seen").to_numpy()[order], known.column("unseen").to_numpy()[order]
+        values = [look_up(np.frombuffer(k, np.uint64), keys, seen, unseen).tobytes() for k in wanted.column("keys").to_pylist()]
+        return pa.table([wanted.column("shard"), wanted.column("part"), pa.array(values, pa.binary())], names=["shard", "part", "found"])
+
+    def add(asked: pa.Table, answers: pa.Table) -> pa.Table:
+        tokens = distinct_words(asked)
+        keys = distinct_grams(tokens)
+        home, value, ratio = shard(keys, shards), np.zeros(len(keys), np.float32), {}
+        for k, found in zip(answers.column("part").to_pylist(), answers.column("found").to_pylist()):
+            value[home == k] = np.frombuffer(found, np.float32)
+        for own, key, word in portions(tokens):
+            ratio.update(zip(own, np.bincount(word, value[np.searchsorted(keys, key)], minlength=len(own)).tolist()))
+        words = asked.column("words").to_pylist()
+        values = [np.array([ratio[w] for w in unpacked(x)], np.float32).tobytes() for x in words]
+        return pa.table([asked.column("block"), pa.array(words, pa.binary()), pa.array(values, pa.binary())], names=["block", "words", "found"])
+
+    known = table.mapInArrow(located, "key long, seen float, unseen float, part int")
+    wants = asked.groupBy("shard").applyInArrow(wanted, "shard int, part int, keys binary")
+    answers = wants.groupBy("part").cogroup(known.groupBy("part")).applyInArrow(answer, "shard int, part int, found binary")
+    return asked.groupBy("shard").cogroup(answers.groupBy("shard")).applyInArrow(add, "block string, words binary, found binary")
+
+
+def rated(docs: DataFrame, model: Model, text_col: str, out: dict[str, str]) -> DataFrame:
+    """Append the columns ``out``, score and evidence, to each row; same-named columns give way."""
+    kept = docs.drop(*out)
+    schema = StructType(list(kept.schema))
+    for name, kind in out.items():
+        schema = schema.add(name, kind)
+    mean, scale, weights = model.mean, model.scale, model.weights
+    (size,) = kept.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))).first()
+    shards = max(SHARDS, -(-(size or 0) // (4 * BLOCK_BYTES)))
+    blocks = Scratch(docs.sparkSession).keep(packed(kept, text_col, shards), "toxicity-blocks")
+
+    def finish(block: pa.Table, answers: pa.Table) -> pa.Table:
+        ratio, done = {}, []
+        for words, found in zip(answers.column("words").to_pylist(), answers.column("found").to_pylist()):
+            ratio.update(zip(unpacked(words), np.frombuffer(found, np.float32).tolist()))
+        for part in pa.ipc.open_stream(block.column("rows")[0].as_py()):
+            docs = [lower_words(t) for t in part.column(text_col).to_pylist()]
+            x = np.array([evidence(np.fromiter(map(ratio.__getitem__, doc), np.float64, len(doc))) for doc in docs]).reshape(-1, N_EVIDENCE)
+            score = sigmoid(weights[0] + ((x - mean) / scale) @ weights[1:])
+            done.append(pa.RecordBatch.from_arrays([*part.columns, *map(pa.array, (score, *x.T))], names=[*part.schema.names, *out]))
+        return pa.Table.from_batches(done)
+
+    found = word_ratios(blocks.where("shard >= 0").select("block", "shard", "words"), model.table, shards)
+    return blocks.where("shard < 0").select("block", "rows").groupBy("block").cogroup(found.groupBy("block")).applyInArrow(finish, schema)
 
 
 def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
     """Learn from (id, text, label): counts from most rows, the score from the rest."""
-    spark = labelled.sparkSession
+    scratch = Scratch(labelled.sparkSession)
     apart = F.pmod(F.xxhash64(F.col("id").cast("string")), F.lit(CALIBRATION_FOLDS)) == 0
-    table = gram_counts(word_counts(labelled.where(~apart))).select("key", *(F.col(c).cast("float") for c in ("toxic", "ordinary"))).toArrow()
-    constant = Model(None, None, np.zeros(1), np.ones(1), np.zeros(2), 0.0)
-    key, toxic, ordinary = (c.to_numpy() for c in table.columns)
-    del table
-    if not toxic.sum() or not ordinary.sum():
-        constant.constant = float(labelled.agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0])
-        return constant
-    model = Model(*ratio_tables(key.view(np.uint64), toxic, ordinary), np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
-    del key, toxic, ordinary
-    shared = spark.sparkContext.broadcast(model)
-    rows = add_scores(sample(labelled.where(apart), calibration_rows), "text", FEATURES, lambda: shared.value.scorer()).select("label", *EVIDENCE).toArrow().to_pandas()
+    counts = scratch.keep(gram_counts(word_counts(labelled.where(~apart))), "toxicity-grams")
+    model = Model(None, np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
+    if not all(counts.agg(F.sum("toxic"), F.sum("ordinary")).first()):
+        model.constant = float(labelled.agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0])
+        return model
+    model.table = scratch.keep(ratio_table(counts), "toxicity-ratios")
+    scratch.drop(counts)
+    rows = rated(sample(labelled.where(apart), calibration_rows), model, "text", FEATURES).select("label", *EVIDENCE).toArrow().to_pandas()
     if rows.label.nunique() < 2:
-        constant.constant = float(labelled.agg(F.avg("label")).first()[0])
-        return constant
+        model.constant = float(labelled.agg(F.avg("label")).first()[0])
+        return model
     model.mean, model.scale, model.weights = logistic(rows[list(EVIDENCE)].to_numpy(float), rows.label.to_numpy(float))
+    labelled.sparkSession._jvm.System.gc()  # lets Spark delete the shuffle files of the counts, which nothing reads any more
     return model
 
 
 def score(docs: DataFrame, model: Model, text_col: str = "text", prefix: str = "") -> DataFrame:
     """All columns of ``docs`` with ``score`` and the evidence columns, under ``prefix``."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-    return add_scores(docs, text_col, {prefix + name: kind for name, kind in FEATURES.items()}, lambda: shared.value.scorer())
+    out = {prefix + name: kind for name, kind in FEATURES.items()}
+    if model.constant is None:
+        return rated(docs, model, text_col, out)
+    return docs.drop(*out).select("*", *(F.lit(0.0 if i else model.constant).alias(name) for i, name in enumerate(out)))
 
 
 def fit_tables(docs: DataFrame, labels: DataFrame) -> Model:

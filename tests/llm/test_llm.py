@@ -294,6 +294,41 @@ def test_kneser_ney_probabilities_add_up():
     assert (np.bincount(at, p) <= 1 + 1e-5).all() and (p > 0).all()
 
 
+def test_toxicity_counts_every_ngram(spark):
+    """More n-grams than a table of 2^22 hashed places holds apart; words never seen back off."""
+    gen = random.Random(9)
+    made = [bytes(gen.choices(b"abcdefghijklmnopqrstuvwxyz\xc3\xa9", k=9)) for _ in range(4000)]
+    seen = [(w, gen.randint(0, 3), gen.randint(1, 4)) for w in dict.fromkeys(made[:3000])]
+    keys, word = toxicity.grams([w for w, _, _ in seen])
+    found, at = np.unique(keys, return_inverse=True)
+    toxic, ordinary = (np.bincount(at, np.array([w[i] for w in seen])[word]) for i in (1, 2))
+    counts = toxicity.gram_counts(spark.createDataFrame(seen, "word binary, toxic long, ordinary long")).cache()
+    assert {(r.key % 2**64, r.toxic, r.ordinary) for r in counts.collect()} == set(zip(found.tolist(), toxic.tolist(), ordinary.tolist())) and counts.count() == len(found)
+
+    shared = toxicity.continuation(found & toxicity._low(7), 7)  # all at once, not by pairs
+    whole = {}
+    for key, *pair, p in zip(found.tolist(), toxic.tolist(), ordinary.tolist(), shared.tolist()):
+        whole.setdefault(key >> 8, []).append((key, pair, p))
+    known = {}
+    for context, own in whole.items():
+        total, follow = ([f(pair[c] for _, pair, _ in own) for c in (0, 1)] for f in (sum, lambda x: sum(n > 0 for n in x)))
+        back = [0.75 * follow[c] / total[c] if total[c] else 1.0 for c in (0, 1)]
+        known[context, None] = np.log(back[0] / back[1])
+        for key, pair, p in own:
+            known[context, key] = np.log((max(pair[0] - 0.75, 0) / max(total[0], 1) + back[0] * p) / (max(pair[1] - 0.75, 0) / max(total[1], 1) + back[1] * p))
+    table = toxicity.ratio_table(counts).cache()
+    for r in table.collect():
+        key = r.key % 2**64
+        assert abs(r.seen - known[key >> 8, key]) < 1e-3 and abs(r.unseen - known[key >> 8, None]) < 1e-3
+    model = toxicity.Model(table, np.zeros(1), np.ones(1), np.zeros(1 + toxicity.N_EVIDENCE))
+    ascii_ = [w.decode() for w in made if w.isascii()]
+    rows = toxicity.score(spark.createDataFrame([(w,) for w in ascii_], "text string").repartition(3), model).collect()
+    assert sorted(r.text for r in rows) == sorted(ascii_)
+    for r in rows:
+        own = toxicity.grams([r.text.encode()])[0].tolist()
+        assert abs(r.mean_ratio - sum(known.get((k >> 8, k), known.get((k >> 8, None), 0.0)) for k in own)) < 1e-2
+
+
 def test_quality(labelled, docs):
     model = quality.fit_tables(labelled.select("doc_id", "text"), labelled.select("doc_id", "quality"))
     held = quality.score(labelled, model).where("quality is not null and text is not null and text <> ''").where(quality.fold("doc_id", 5) == 0).collect()
