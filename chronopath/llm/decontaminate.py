@@ -213,22 +213,24 @@ def matches(docs: DataFrame, index: Index, item_type: str) -> DataFrame:
                 starts = np.arange(0, max(1, len(own) - PASSAGE + STRIDE), STRIDE)
                 ends = np.minimum(starts + PASSAGE, len(own))
                 open_ = starts[total[begins[k] + ends] - total[begins[k] + starts] >= 1 - 1e-9]
-                best: dict[int, tuple[float, int]] = {}
+                hits: dict[int, list[tuple[float, int]]] = {}
                 for s in open_.tolist():
                     query = np.unique(own[s : s + PASSAGE])
                     if index.need[query].sum() < 1 - 1e-9:
                         continue
                     for segment, score in index.retrieve(set(query[query >= 0].tolist())):
                         item = index.segments[segment][0]
-                        best[item] = max(best.get(item, (0.0, 0)), (score, s))
-                if best:
+                        hits.setdefault(item, []).append((score, s))
+                if hits:
                     words = terms(texts[k])
-                for item, (score, s) in best.items():
+                for item, found in hits.items():
                     key, question, answer = index.items[item]
                     reach = PASSAGE + len(question) + len(answer)
-                    q, a = overlaps(question, answer, words[max(0, s - reach) : s + reach + PASSAGE])
-                    if q >= QUESTION_OVERLAP and a >= ANSWER_OVERLAP:
-                        rows.append((k, key, score, q, a))
+                    for score, s in sorted(set(found), reverse=True):  # the first passage around which the item is found
+                        q, a = overlaps(question, answer, words[max(0, s - reach) : s + reach + PASSAGE])
+                        if q >= QUESTION_OVERLAP and a >= ANSWER_OVERLAP:
+                            rows.append((k, key, score, q, a))
+                            break
             picked = pa.array([r[0] for r in rows], pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0).take(picked), pa.array([r[1] for r in rows], kinds[item_type]), *(pa.array([r[i] for r in rows], pa.float64()) for i in (2, 3, 4))], names=["id", "item", "score", "question_overlap", "answer_overlap"])
 

@@ -251,6 +251,18 @@ def test_decontamination(spark, docs, empty):
     assert decontaminate.contaminated(empty, bench).count() == 0 and decontaminate.contaminated(docs, bench.where("false")).count() == 0
 
 
+def test_decontamination_verifies_every_passage(spark):
+    """The best passage quotes a part of the item only; the item stands far from it, with a few words changed."""
+    gen = random.Random(3)
+    own = ["".join(gen.choices("klmnopqrst", k=8)) for _ in range(160)]
+    far = lambda: " ".join("".join(gen.choices("abcdef", k=6)) for _ in range(900))
+    edited = [w if i % 40 != 20 else "changed" for i, w in enumerate(own)]
+    bench = spark.createDataFrame([(1, " ".join(own))], "item_id long, text string")
+    rows = [(1, f"{far()} {' '.join(own[:80])} {far()} {' '.join(edited)} {far()}"), (2, f"{far()} {' '.join(own[:80])} {far()}")]
+    found = decontaminate.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()
+    assert [(r.doc_id, r.item_id) for r in found] == [(1, 1)]
+
+
 def test_block_max_wand_finds_all_above_threshold():
     items = [(i, text(rng.randint(10, 60))) for i in range(400)]
     index = decontaminate.Index(items, {w.encode(): k for k, w in enumerate(WORDS)}, 1000, threshold=0.25)
