@@ -7,16 +7,16 @@ so all word work happens on UTF-8 bytes.
 
 from __future__ import annotations
 
-import base64
 import os
-import tempfile
+import re
 import uuid
+from array import array
 from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 #: Text handled together in a Python worker, and entries a worker's memo may hold
 #: before it starts afresh. Both bound memory only; results do not depend on them.
@@ -25,14 +25,15 @@ MEMO_ENTRIES = 400_000
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where none is set."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``, or the one set on the context."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
-        set_on_context = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = set_on_context.get() if set_on_context.isDefined() else None
+        option = spark.sparkContext._jsc.sc().getCheckpointDir()
+        found = option.get() if option.isDefined() else None
     if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="chronopath-")
-        spark.sparkContext.setCheckpointDir(found)
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        found = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/chronopath-scratch"  # one machine: any folder is shared
     return found.rstrip("/")
 
 
@@ -49,12 +50,18 @@ class Scratch:
         self.paths[id(out)] = (path, out)
         return out
 
+    def observed(self, df: DataFrame, name: str, **measures: Column) -> tuple[DataFrame, dict]:
+        """The stored table, and numbers taken while it was written."""
+        observation = Observation()
+        return self.keep(df.observe(observation, *(c.alias(k) for k, c in measures.items())), name), observation.get
+
     def drop(self, *frames: DataFrame) -> None:
-        """Delete tables that no later result reads."""
+        """Delete tables that no later result reads; Spark then deletes the shuffle files behind tables already stored."""
         jvm, conf = self.spark._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
         for df in frames:
             path = jvm.org.apache.hadoop.fs.Path(self.paths.pop(id(df))[0])
             path.getFileSystem(conf).delete(path, True)
+        jvm.System.gc()
 
 
 def wide(df: DataFrame, by, spark: SparkSession) -> DataFrame:
@@ -106,7 +113,86 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def tokenizer_path(name: str = "byte_bpe_50k.tiktoken") -> str:
+_BASE = np.uint64(0x9E3779B97F4A7C15)
+_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+
+
+def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first n + 1 powers of the base and of its inverse, modulo 2**64."""
+    up, down = np.full(n + 1, _BASE), np.full(n + 1, _INVERSE)
+    up[0] = down[0] = 1
+    return np.multiply.accumulate(up), np.multiply.accumulate(down)
+
+
+class Rolling:
+    """Polynomial hashes of all windows of a sequence, modulo 2**64."""
+
+    def __init__(self, tokens: np.ndarray):
+        up, self.down = powers(len(tokens))
+        self.prefix = np.zeros(len(tokens) + 1, np.uint64)
+        np.cumsum(tokens * up[:-1], out=self.prefix[1:])
+
+    def spans(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        return mix((self.prefix[ends] - self.prefix[starts]) * self.down[starts])
+
+    def windows(self, size: int) -> np.ndarray:
+        n = max(0, len(self.prefix) - size)
+        return mix((self.prefix[size:] - self.prefix[:n]) * self.down[:n]) if n else np.zeros(0, np.uint64)
+
+
+#: Bytes of text hashed together, and the longest word hashed by the polynomial; longer ones go through a library hash.
+PIECE_BYTES, LONG_WORD = 1 << 18, 255
+_SPACE = np.zeros(256, bool)
+_SPACE[[32, *range(9, 14)]] = True
+_AS_IS = np.arange(1, 257, dtype=np.uint64)
+_LOWERED = _AS_IS.copy()
+_LOWERED[65:91] += np.uint64(32)
+
+
+class WordColumn:
+    """The words of an Arrow column of texts (null: none) as 64-bit hashes, without a Python object for each.
+
+    ``hashes`` has all words in order, ``starts`` where each text's words begin (one entry
+    more than texts), ``spans`` the bytes of each word in ``data``.
+    """
+
+    def __init__(self, column: pa.Array, lower: bool = False):
+        column = pc.fill_null(column, "").cast(pa.large_string())
+        _, offsets, data = column.buffers()
+        offsets = np.frombuffer(offsets, np.int64)[column.offset : column.offset + len(column) + 1]
+        self.data = (np.frombuffer(data, np.uint8) if data else np.zeros(0, np.uint8))[offsets[0] : offsets[-1]]
+        self.offsets, body = offsets - offsets[0], self.data
+        inside = ~_SPACE[body]
+        first, last = inside.copy(), inside.copy()
+        first[1:] &= ~inside[:-1]
+        last[:-1] &= ~inside[1:]
+        edges = self.offsets[1:-1][(self.offsets[1:-1] > 0) & (self.offsets[1:-1] < len(body))]
+        first[edges], last[edges - 1] = inside[edges], inside[edges - 1]
+        begin, end = np.flatnonzero(first), np.flatnonzero(last) + 1
+        self.spans, self.starts = (begin, end), np.searchsorted(begin, self.offsets)
+        self.hashes, values, at = np.empty(len(begin), np.uint64), _LOWERED if lower else _AS_IS, 0
+        up, down = powers(min(PIECE_BYTES, len(body)))
+        while at < len(begin):
+            to = max(at + 1, int(np.searchsorted(end, begin[at] + PIECE_BYTES, "right")))
+            low, high = begin[at], end[to - 1]
+            if high - low <= PIECE_BYTES:  # else a single long word, hashed below
+                sums = np.zeros(high - low + 1, np.uint64)
+                np.cumsum(values[body[low:high]] * up[: high - low], out=sums[1:])
+                self.hashes[at:to] = (sums[end[at:to] - low] - sums[begin[at:to] - low]) * down[begin[at:to] - low]
+            at = to
+        self.hashes = mix(self.hashes)
+        for k in np.flatnonzero(end - begin > LONG_WORD):
+            import xxhash
+
+            word = body[begin[k] : end[k]].tobytes()
+            self.hashes[k] = xxhash.xxh3_64_intdigest(word.lower() if lower else word)
+
+    @property
+    def sizes(self) -> np.ndarray:
+        return np.diff(self.starts)
+
+
+def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     """Place of a public vocabulary file on this machine."""
     import public_tokenizers
 
@@ -114,39 +200,63 @@ def tokenizer_path(name: str = "byte_bpe_50k.tiktoken") -> str:
 
 
 class BpeBytes(dict):
-    """Byte-level BPE ids of a text, as packed little-endian uint32.
-
-    The vocabulary's split pattern always cuts before a single space that follows
-    a non-space, so a text without two neighbouring spaces is the sequence of its
-    space-led chunks and each chunk's ids can be remembered. Other texts are
-    encoded in one go. The ids equal those of the same vocabulary in the
-    ``tokenizers`` library; strings of special tokens are ordinary text.
+    """Ids of a text by the ``tokenizers`` library, as packed little-endian uint32, without special tokens added.
+
+    The vocabulary's split pattern always cuts before a space or line feed that a character
+    other than white space follows: whatever stands before it, a run of white space gives
+    up its last character there. So a text is the sequence of chunks between such places,
+    and the ids of ``" " + chunk`` (or of a chunk that starts with a line feed) are remembered
+    under the chunk. White space is taken in Python's meaning, the wider one, so no cut is
+    made that the library would not make. Chunks of plain letters, digits and punctuation
+    go to the library's model run by run; others, and texts with the string of a special
+    token, which the library looks for first, are encoded by the library as they are.
     """
 
+    LOOSE = re.compile(r"[ \n](?!\S)")
+    CUT = re.compile(r"(?=[ \n]\S)")
+    # Runs that the pattern keeps together; the letters are those whose class no edition of Unicode changed.
+    RUNS = re.compile(r"\n| ?[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f\u0400-\u0481]+| ?[0-9]+| ?[!-&(-/:-@\[-`{-~]+")
+    PLAIN = re.compile(r"[ \n]?[0-9A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f\u0400-\u0481!-&(-/:-@\[-`{-~]+")
+
     def __init__(self, path: str | None = None):
-        import public_tokenizers
-        import tiktoken
+        from tokenizers import Tokenizer
 
-        with open(path or tokenizer_path(), "rb") as f:
-            ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, f)}
-        self.bpe = tiktoken.Encoding(os.path.basename(path or "byte_bpe"), pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+        self.library = Tokenizer.from_file(path or tokenizer_path())
+        self.model, self.older = self.library.model, {}
+        self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
+        shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # bytes that stand for themselves; the others follow behind 255
+        self.letters = {b: 256 + k for k, b in enumerate(sorted({*range(256)} - {*shown}))}
+        self.space, self.feed = chr(self.letters[32]), chr(self.letters[10])
 
     def __missing__(self, chunk: str) -> bytes:
-        if len(self) >= MEMO_ENTRIES:
+        if len(self) >= MEMO_ENTRIES // 2:
+            self.older = dict(self)  # what was seen since the last time; chunks still in use come back from there
             self.clear()
-        self[chunk] = found = self.pack(chunk)
+        self[chunk] = found = self.older.get(chunk) or self.pack(chunk if chunk[:1] == "\n" else " " + chunk)
         return found
 
     def pack(self, text: str) -> bytes:
-        return np.array(self.bpe.encode_ordinary(text), dtype="<u4").tobytes()
+        if self.PLAIN.fullmatch(text):
+            shown = text.replace(" ", self.space).replace("\n", self.feed) if text.isascii() else text.encode().decode("latin1").translate(self.letters)
+            runs = [text] if text.lstrip(" ").isalpha() else self.RUNS.findall(text)
+            ids, at = [], 0
+            for run in runs:
+                to = at + (len(run) if run.isascii() else len(run.encode()))
+                ids += [t.id for t in self.model.tokenize(shown[at:to])]
+                at = to
+        else:
+            ids = self.library.encode(text, add_special_tokens=False).ids
+        return array("I", ids).tobytes()
 
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if "  " in text:
-            return self.pack(text)
-        first, *rest = text.split(" ")
-        return (self[first] if first else b"") + b"".join([self[" " + chunk] for chunk in rest])
+        if any(s in text for s in self.special):
+            return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
+        if self.LOOSE.search(text):
+            return b"".join([self[c[1:]] if c[0] == " " and not c[1:2].isspace() else self.pack(c) for c in self.CUT.split(text) if c])
+        first, *rest = text.replace("\n", " \n").split(" ")
+        return (self.pack(first) if first else b"") + b"".join(map(self.__getitem__, rest))
 
 
 _BPE: dict[str | None, BpeBytes] = {}

@@ -26,32 +26,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronopath.llm.common import Scratch, WordHash, mix, slices, words
+from chronopath.llm.common import Rolling, Scratch, WordHash, mix, slices, words
 
 WINDOW, RUN = 50, 10
 
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
 _SECOND = np.uint64(0xA0761D6478BD642F)
 
 
-class Rolling:
-    """Polynomial hashes of all windows of a sequence, modulo 2**64."""
-
-    def __init__(self, tokens: np.ndarray):
-        n = len(tokens)
-        up, down = np.full(n + 1, _BASE), np.full(n + 1, _INVERSE)
-        up[:1] = down[:1] = 1
-        np.multiply.accumulate(up, out=up)
-        self.down = np.multiply.accumulate(down)
-        self.prefix = np.zeros(n + 1, np.uint64)
-        np.cumsum(tokens * up[:n], out=self.prefix[1:])
-
-    def windows(self, size: int) -> np.ndarray:
-        n = max(0, len(self.prefix) - size)
-        return mix((self.prefix[size:] - self.prefix[:n]) * self.down[:n]) if n else np.zeros(0, np.uint64)
-
-
 def sliding_min(x: np.ndarray, size: int) -> np.ndarray:
     """Minimum of each ``size`` neighbours, by doubling spans."""
     span = 1
