@@ -24,16 +24,15 @@ def _small(edges: DataFrame) -> DataFrame:
     return tied.unionByName(least.select("a", F.col("m").alias("b")))
 
 
-def components(edges: DataFrame) -> DataFrame:
+def components(edges: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """(id, component) of every end of (a, b); the component is its smallest id. The result is a stored table."""
-    scratch = Scratch(edges.sparkSession)
-    now = scratch.keep(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    seen = None
+    scratch = scratch or Scratch(edges.sparkSession)
+    falling = lambda e: e.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    now, seen = scratch.keep(falling(edges), "edges"), None
     for _ in range(MAX_ROUNDS):
-        after = scratch.keep(_small(_large(now).where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()).where("a <> b").distinct(), "edges")
+        after, state = scratch.observed(falling(_small(falling(_large(now)))), "edges", n=F.count(F.lit(1)), mark=F.bit_xor(F.xxhash64("a", "b")))
         scratch.drop(now)
         now = after
-        state = now.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b"))).first()
         if state == seen:
             break
         seen = state

@@ -1,27 +1,29 @@
 """Near duplicates: a join on the Jaccard similarity of word shingles.
 
-Documents are sets of shingle hashes. Documents of equal sets are one class. For
-the others, sets that overlap in ``o`` shingles share at least l of the first
-``n - o + l`` in any fixed order of all shingles. The order here puts a fixed
-share of all shingles first (those with a small hash), the rare ones before the
-frequent ones by their exact document count; shingles found in one document only
-cannot match, so a document whose prefix consists of those drops out at once.
-Each document lengthens its prefix as far as its estimated candidate cost falls
-(``LEVELS`` steps): of (postings met) x (1 + verification / l), the second factor
-being a bound on the candidates that share l of them. A pair then has to share as
-many prefix shingles as the smaller level of the two before it is verified on the
-whole sets.
+Documents are sets of shingle hashes; documents of equal sets are one class and go on as
+one set. Sets that overlap in ``o`` shingles share at least l of the first ``n - o + l``
+in any fixed order of all shingles. The order here is by how often shingles occur that
+fall into the same of 2^``BUCKET_BITS`` hash buckets, rare ones first, then by hash:
+these counts cover the whole table, have a fixed size whatever the input, and only steer
+the work, since any order gives the same links.
+
+Each set lengthens its prefix as far as its estimated candidate cost falls (``LEVELS``
+steps): of (occurrences met) x (1 + verification / l), the second factor being a bound
+on the candidates that share l of them. Prefix shingles of one set only cannot match
+and go. Sets meet at the shingles of their shortest prefixes; a pair then has to share
+k of the first ``n - o + k`` for every k up to the smaller l of the two, and parity maps
+of the whole sets must not rule it out, before it is verified on the whole sets.
 
 Large groups of near copies would make a square number of pairs, so in rounds each
-prefix shingle first ties its documents to two of their number, by verified pairs;
-documents that these links connect need no further comparison among each other.
-All remaining candidate pairs between different components are then verified, so
-no link that could join two components is lost. A map of 256 parity bits a set
-rules most false pairs out inside the joins, with no true pair lost.
+shingle first ties its sets to two of their number, others in each round, by verified
+pairs; sets that these links connect need no further comparison among each other.
+All remaining pairs between different components then meet, once where their heads
+(the first ``HEAD`` shared shingles) have one in common, so no link is lost.
 
 Edge cases: a text with fewer words than a shingle has its whole sequence as one;
 texts without words, null texts and rows without an id have no links (their
-component is their own id); repeated rows of an id share its class; an empty table
+component is their own id); rows of one id with different texts are different
+documents, each linked by its own text; repeated rows are in one class; an empty table
 gives no rows; other columns are ignored.
 """
 
@@ -29,170 +31,225 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window
 
-from chronopath.llm.common import Scratch, WordHash, lower_words, mix, slices
+from chronopath.llm.common import Rolling, Scratch, WordColumn, mix, slices
 from chronopath.llm.components import components
-from chronopath.llm.substrings import Rolling
 
 LEVELS, VERIFY_COST = 4, 20
-FIRST_SHARE = 0.4
-#: Bits of a set's parity map: two sets differ in at least as many members as their maps differ in bits.
-MAP_BITS = 256
-#: Rounds of ties before the remaining pairs are listed; more only while they pay.
-TIE_ROUNDS = 4
-#: Id lists of at most so many rows (8 bytes each) are broadcast; longer ones are shuffled.
-BROADCAST_IDS = 1_000_000
+#: Size of the table of counts that orders shingles, and of a set's parity map: two sets differ in at least as many members as their maps differ in bits.
+BUCKET_BITS, MAP_BITS = 18, 512
+#: Rounds of ties before the remaining pairs are listed (sooner if those are at most so many times the rows, or fall too slowly),
+#: and shared shingles by which such pairs are told apart.
+TIE_ROUNDS, FEW_PAIRS, HEAD = 4, 4, 16
+#: Text worked on at once in a Python worker; bounds memory only.
+WORK_BYTES = 1 << 20
+_SHORT = np.uint64(0xA0761D6478BD642F)
 
 
 def overlap(n, num: int, den: int):
-    """Smallest overlap of a set of n with a partner at the threshold (for ints or columns)."""
-    return (n * num + den - 1) // den if isinstance(n, int) else F.floor((n * num + den - 1) / den).cast("int")
+    """Smallest overlap of a set of n with a partner at the threshold (for ints, arrays or columns)."""
+    return F.floor((n * num + den - 1) / den).cast("int") if isinstance(n, Column) else (n * num + den - 1) // den
+
+
+def shingles(column: pa.Array, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """(hashes of the shingles of all texts in order, where each text's begin: one entry more than texts)."""
+    words = WordColumn(column, lower=True)
+    rolling, sizes = Rolling(words.hashes), words.sizes
+    windows = rolling.windows(size)
+    counts = np.where(sizes >= size, sizes - size + 1, (sizes > 0).astype(np.int64))
+    ends = np.cumsum(counts)
+    out = np.empty(int(counts.sum()), np.uint64)
+    long = np.flatnonzero(sizes >= size)
+    if len(long):
+        n = counts[long]
+        step = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        out[np.repeat(ends[long] - n, n) + step] = windows[np.repeat(words.starts[long], n) + step]
+    short = np.flatnonzero((sizes > 0) & (sizes < size))
+    out[ends[short] - 1] = mix(rolling.spans(words.starts[short], words.starts[short + 1]) ^ _SHORT)
+    return out, np.concatenate([[0], ends])
+
+
+def shingle_sets(column: pa.Array, size: int) -> list[np.ndarray]:
+    """Sorted distinct shingle hashes of each text."""
+    found, starts = shingles(column, size)
+    return [np.unique(found[a:b]) for a, b in zip(starts[:-1].tolist(), starts[1:].tolist())]
 
 
-def shingle_sets(texts: list[str | None], size: int, memo: WordHash) -> list[np.ndarray]:
-    """Sorted distinct shingle hashes of each text."""
-    docs = [lower_words(t) for t in texts]
-    hashes = Rolling(memo.array([w for doc in docs for w in doc])).windows(size)
-    out, at = [], 0
-    for doc in docs:
-        if 0 < len(doc) < size:
-            digest = hashlib.blake2b(b" ".join(doc), digest_size=8, person=b"short").digest()
-            out.append(mix(np.frombuffer(digest, np.uint64)))
-        else:
-            out.append(np.unique(hashes[at : at + max(0, len(doc) - size + 1)]))
-        at += len(doc)
-    return out
+def digest(members: np.ndarray) -> bytes:
+    return hashlib.blake2b(members.tobytes(), digest_size=16).digest()
 
 
-def _prefixes(docs: DataFrame, size: int, num: int, den: int) -> DataFrame:
-    """(id, n, sig, map, u, first, rest): set size, digest and parity map; the early shingles; what a prefix needs beyond."""
-    bound = np.uint64(int(FIRST_SHARE * 2**64))
+def bucket_counts(docs: DataFrame, size: int, bits: int = BUCKET_BITS) -> np.ndarray:
+    """Occurrences of the shingles of each hash bucket in the whole table of (id, text)."""
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = WordHash()
-        for batch in slices(batches):
-            n, sig, maps, early, first, rest = [], [], [], [], [], []
-            for found in shingle_sets(batch.column(1).to_pylist(), size, memo):
-                u = int(np.searchsorted(found, bound))
-                need = min(len(found), len(found) - overlap(len(found), num, den) + LEVELS)
-                n.append(len(found))
-                sig.append(hashlib.blake2b(found.tobytes(), digest_size=16).hexdigest())
-                parity = np.bincount((found >> np.uint64(20) & np.uint64(MAP_BITS - 1)).astype(np.int64), minlength=MAP_BITS) & 1
-                maps.append(np.packbits(parity.astype(np.uint8)).view(np.int64))
-                early.append(u)
-                first.append(found[:u].view(np.int64))
-                rest.append(found[u : max(u, need)].view(np.int64))
-            longs = pa.list_(pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int32()), pa.array(sig), pa.array(maps, longs), pa.array(early, pa.int32()), pa.array(first, longs), pa.array(rest, longs)], names=["id", "n", "sig", "map", "u", "first", "rest"])
-
-    return docs.mapInArrow(go, f"id {docs.schema['id'].dataType.simpleString()}, n int, sig string, map array<long>, u int, first array<long>, rest array<long>")
-
-
-def _sets(docs: DataFrame, size: int) -> DataFrame:
-    """(id, members): the whole sets."""
+        counts, open_, n = np.zeros(1 << bits, np.int64), [], 0
+        for batch in slices(batches, limit=WORK_BYTES):
+            open_.append((shingles(batch.column(0), size)[0] >> np.uint64(64 - bits)).astype(np.int32))
+            n += len(open_[-1])
+            if n > counts.size:
+                counts += np.bincount(np.concatenate(open_), minlength=counts.size)
+                open_, n = [], 0
+        counts += np.bincount(np.concatenate([np.zeros(0, np.int32), *open_]), minlength=counts.size)
+        bucket = np.flatnonzero(counts)
+        yield pa.RecordBatch.from_arrays([pa.array(bucket.astype(np.int32)), pa.array(counts[bucket])], names=["bucket", "n"])
+
+    rows = docs.select("text").mapInArrow(go, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(1 << bits, np.int64)
+    out[rows.column("bucket").to_numpy()] = rows.column("n").to_numpy()
+    return out
+
+
+def prefixes(docs: DataFrame, size: int, num: int, den: int, counts: np.ndarray) -> DataFrame:
+    """(id, sig, n, l, map, tokens): digest and size of the set, its level and parity map, and its prefix in order."""
+    bits = counts.size.bit_length() - 1
+    shared = docs.sparkSession.sparkContext.broadcast(counts.astype(np.float32))
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = WordHash()
-        for batch in slices(batches):
-            found = [s.view(np.int64) for s in shingle_sets(batch.column(1).to_pylist(), size, memo)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.int64()))], names=["id", "members"])
+        often, longs = shared.value, pa.list_(pa.int64())
+        for batch in slices(batches, limit=WORK_BYTES):
+            rows: list[list] = [[], [], [], [], []]
+            for own in shingle_sets(batch.column(1), size):
+                n, least = len(own), overlap(len(own), num, den)
+                top = min(LEVELS, least)
+                met = often[(own >> np.uint64(64 - bits)).astype(np.int64)]
+                order = np.argsort(met, kind="stable")[: n - least + top]  # own is sorted, so ties are in order of the hash
+                cost = np.cumsum(met[order] - 1, dtype=np.float64)[n - least :] * (1 + VERIFY_COST / np.arange(1, top + 1)) if n else np.zeros(1)
+                level = int(np.argmin(cost)) + 1
+                parity = np.bincount((own >> np.uint64(20) & np.uint64(MAP_BITS - 1)).astype(np.int64), minlength=MAP_BITS) & 1
+                for column, value in zip(rows, (digest(own), n, level, np.packbits(parity.astype(np.uint8)).view(np.int64), own[order[: n - least + level]].view(np.int64))):
+                    column.append(value)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows[0], pa.binary()), pa.array(rows[1], pa.int32()), pa.array(rows[2], pa.int32()), pa.array(rows[3], longs), pa.array(rows[4], longs)], names=["id", "sig", "n", "l", "map", "tokens"])
 
-    return docs.mapInArrow(go, f"id {docs.schema['id'].dataType.simpleString()}, members array<long>")
+    return docs.mapInArrow(go, f"id {docs.schema['id'].dataType.simpleString()}, sig binary, n int, l int, map array<long>, tokens array<long>")
 
 
-def _few(ids: DataFrame) -> DataFrame:
-    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+def node(sig: str | Column = "sig") -> Column:
+    """A set's number: 64 bits of its digest."""
+    return F.conv(F.substring(F.hex(sig), 1, 15), 16, 10).cast("long")
 
 
-def _ranked(shared: DataFrame, sizes: DataFrame, num: int, den: int) -> DataFrame:
-    """Prefix postings (token, id, n, level, l) of (token, id, j, df); j is the place of a late shingle."""
-    by_id = Window.partitionBy("id")
-    late = F.col("j").isNotNull()
-    rows = shared.join(sizes, "id").withColumn("base", F.col("n") - overlap(F.col("n"), num, den)).withColumn("o", F.col("n") - F.col("base"))
-    known = F.sum(F.when(late, 0).otherwise(1)).over(by_id)
-    order = F.row_number().over(Window.partitionBy("id").orderBy(late.cast("int"), "df", "token"))
-    rows = rows.withColumn("rank", F.when(late, F.col("u") + F.col("j")).otherwise(F.col("u") - known + order - 1))
-    rows = rows.where(F.col("rank") < F.col("base") + F.least(F.lit(LEVELS), "o"))
-    costs = [F.struct((F.sum(F.when(F.col("rank") < F.col("base") + k, F.col("df") - 1).otherwise(0)).over(by_id) * (1 + VERIFY_COST / k)).alias("cost"), F.lit(k).alias("l")) for k in range(1, LEVELS + 1)]
-    best = F.array_min(F.slice(F.array(*costs), F.lit(1), F.least(F.lit(LEVELS), F.col("o"))))
-    rows = rows.withColumn("l", best["l"]).withColumn("level", F.greatest(F.lit(1), F.col("rank") - F.col("base") + 1))
-    return rows.where("level <= l").select("token", "id", "n", "level", "l")
+def whole_sets(docs: DataFrame, size: int) -> DataFrame:
+    """(sig, members) of (id, text); equal rows that a task sees again are left out."""
 
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[bytes] = set()
+        for batch in slices(batches, limit=WORK_BYTES):
+            found = {sig: s for s in shingle_sets(batch.column(0), size) if (sig := digest(s)) not in seen}
+            seen.update(found)
+            yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.binary()), pa.array([s.view(np.int64) for s in found.values()], pa.list_(pa.int64()))], names=["sig", "members"])
 
-def _may_reach(x: str, y: str, num: int, den: int):
-    """False only for pairs whose maps prove that they differ too much."""
-    bits = sum((F.bit_count(F.col(f"{x}map")[k].bitwiseXOR(F.col(f"{y}map")[k])) for k in range(MAP_BITS // 64)), F.lit(0))
-    return bits * (den + num) <= (F.col(f"{x}n") + F.col(f"{y}n")) * (den - num)
+    return docs.select("text").mapInArrow(go, "sig binary, members array<long>")
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """The (a, b) whose sets reach the threshold."""
-    left, right = (sets.select(F.col("id").alias(x), F.col("members").alias(f"of_{x}")) for x in "ab")
-    both = F.size(F.array_intersect("of_a", "of_b"))
-    union = F.size("of_a") + F.size("of_b") - both
-    return pairs.join(right, "b").join(left, "a").where(both * den >= union * num).select("a", "b")
+def _near(x: str, y: str, num: int, den: int) -> Column:
+    """False only for pairs whose sizes or parity maps prove that they are below the threshold."""
+    n, m = F.col(f"{x}.n"), F.col(f"{y}.n")
+    bits = sum((F.bit_count(F.col(f"{x}.map")[k].bitwiseXOR(F.col(f"{y}.map")[k])) for k in range(MAP_BITS // 64)), F.lit(0))
+    return (F.least(n, m) * den >= F.greatest(n, m) * num) & (bits * (den + num) <= (n + m) * (den - num))
 
 
-def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, DataFrame]:
-    """(classes: id, n, rep of every row of (id, text); edges between representatives that connect all that is linked)."""
+def _enough(x: str, y: str) -> Column:
+    """Whether two sets share k of the tokens of their k-th prefixes, for every k up to the smaller level."""
+    upto = lambda side, k: F.slice(F.col(f"{side}.tokens"), F.lit(1), F.col(f"{side}.upto")[k])
+    level = F.least(f"{x}.l", f"{y}.l")
+    return reduce(Column.__and__, [(level <= k) | (F.size(F.array_intersect(upto(x, k), upto(y, k))) > k) for k in range(LEVELS)])
+
+
+def _verified(pairs: DataFrame, shared: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """The (a, b) whose prefixes, then whole sets, reach the threshold."""
+    side = lambda t, x, *cols: t.select(F.col("node").alias(x), F.struct(*cols).alias(f"of_{x}"))
+    for x in "ab":
+        pairs = pairs.join(side(shared, x, "n", "l", "map", "tokens", "upto"), x)
+    pairs = pairs.where(_near("of_a", "of_b", num, den) & _enough("of_a", "of_b")).select("a", "b").distinct()
+    for x in "ab":
+        pairs = pairs.join(side(sets, x, "members"), x)
+    both = F.size(F.array_intersect("of_a.members", "of_b.members"))
+    union = F.size("of_a.members") + F.size("of_b.members") - both
+    return pairs.where(both * den >= union * num).select("a", "b").distinct()
+
+
+def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(id, sig, n of every row of (id, text); sig, node and smallest id of every set; links between nodes that connect all that is linked)."""
     scratch = Scratch(docs.sparkSession)
-    base = scratch.keep(_prefixes(docs, size, num, den), "prefixes")
-    reps = base.where("n > 0 and id is not null").groupBy("sig").agg(F.min("id").alias("rep"), F.count("*").alias("copies"))
-    classes = scratch.keep(base.select("id", "n", "sig").join(reps.where("copies > 1").drop("copies"), "sig", "left").select("id", "n", F.when(F.col("n") > 0, F.coalesce("rep", "id")).otherwise(F.col("id")).alias("rep")), "classes")
-    copies = classes.where("id > rep").select("id").distinct()
-    alone = base.where("n > 0 and id is not null").join(_few(copies), "id", "left_anti")
-    postings = alone.select("id", F.explode("first").alias("token"), F.lit(None).cast("int").alias("j")).unionByName(alone.select("id", F.posexplode("rest").alias("j", "token")))
-    often = postings.groupBy("token").agg(F.count("*").alias("df")).where("df > 1")
-    sizes = alone.groupBy("id").agg(F.max("n").alias("n"), F.max("u").alias("u"))
-    maps = scratch.keep(alone.select("id", "n", "map").dropDuplicates(["id"]), "maps")
-    prefix = scratch.keep(_ranked(postings.join(often, "token"), sizes, num, den), "postings")
+    base = scratch.keep(prefixes(docs, size, num, den, bucket_counts(docs, size)), "prefixes")
+    firsts = base.where("n > 0 and id is not null").groupBy("sig").agg(F.min("id").alias("rep"), F.first(F.struct("n", "l", "map", "tokens")).alias("of"))
+    sigs = scratch.keep(firsts.select("sig", node().alias("node"), "rep", "of.*"), "sets")
+    classes = scratch.keep(base.select("id", "sig", "n"), "classes")
     scratch.drop(base)
-    sets = scratch.keep(_sets(docs.join(_few(prefix.select("id").distinct()), "id", "left_semi"), size).dropDuplicates(["id"]), "sets")
-    close = lambda a, b: F.least(a, b) * den >= F.greatest(a, b) * num
 
-    edges, tied = None, prefix.withColumn("component", F.col("id"))
+    # What sets share: a row of each (shingle, set), then a row of each set.
+    postings = sigs.select("node", F.explode("tokens").alias("token"))
+    often = postings.groupBy("token").agg(F.count("*").alias("df")).where("df > 1").select("token")
+    places = postings.join(often.hint("merge"), "token").groupBy("node").agg(F.collect_list("token").alias("own"))
+    base_size = F.col("n") - overlap(F.col("n"), num, den)
+    upto = F.array(*(F.size(F.array_intersect(F.slice("tokens", F.lit(1), base_size + k), "own")) for k in range(1, LEVELS + 1)))
+    shared = sigs.drop("sig").join(places.hint("merge"), "node").withColumn("upto", upto).withColumn("tokens", F.array_intersect("tokens", "own")).drop("own")
+    shared = scratch.keep(shared.where("upto[0] > 0"), "shared")
+    scratch.drop()
+    wanted = scratch.keep(_texts(docs, sigs.join(shared.select("node"), "node", "left_semi").select("rep").distinct(), size), "members")
+    ids = scratch.keep(sigs.select("sig", "node", "rep"), "nodes")
+    scratch.drop(sigs)
+    nodes = shared.select("node", "n", F.explode(F.slice("tokens", F.lit(1), F.col("upto")[0])).alias("token"))
+
+    edges, labels, before = None, None, 0
     for step in range(TIE_ROUNDS + 1):
-        groups = tied.groupBy("token", "component").agg(F.count("*").alias("k"), F.min("id").alias("least"))
-        main = groups.groupBy("token").agg(F.max_by(F.struct("component", "least"), F.struct("k", -F.col("component"))).alias("main"), F.count("*").alias("groups"), F.sum("k").alias("rows"), F.max("k").alias("k")).where("groups > 1")
-        state = main.agg(F.sum((F.col("rows") - F.col("k")) * F.col("rows")).alias("pairs"), F.sum("rows").alias("rows")).first()
-        tied = scratch.keep(tied.join(main.select("token", F.col("main.component").alias("main"), F.col("main.least").alias("main_least")), "token"), "tied")
-        if not state["rows"] or step == TIE_ROUNDS or step and state["pairs"] <= 8 * state["rows"]:
+        tied = nodes.withColumn("component", F.col("node")) if labels is None else nodes.join(labels.hint("merge"), nodes.node == labels.id, "left").withColumn("component", F.coalesce("component", "node")).drop("id")
+        chance = F.xxhash64("node", F.lit(step))
+        groups = tied.groupBy("token", "component").agg(F.count("*").alias("k"), F.min_by("node", chance).alias("one"))
+        best = F.struct("k", F.xxhash64("component", F.lit(step)), "component", "one")
+        main = groups.groupBy("token").agg(F.max(best).alias("main"), F.count("*").alias("groups"), F.sum("k").alias("rows")).where("groups > 1")
+        tied = tied.join(main.select("token", F.col("main.component").alias("main"), F.col("main.one").alias("hub"), "rows").hint("merge"), "token")
+        tied, state = scratch.observed(tied, "tied", rows=F.count(F.lit(1)), pairs=F.sum(F.when(F.col("component") != F.col("main"), F.col("rows"))))
+        if step == TIE_ROUNDS or (state["pairs"] or 0) <= FEW_PAIRS * state["rows"] or before and 2 * state["pairs"] > before:
             break
+        before = state["pairs"]
         minor = tied.where("component <> main")
-        second = minor.groupBy("token").agg(F.min("id").alias("second"))
-        pairs = minor.select("id", "n", F.col("main_least").alias("other")).unionByName(minor.join(second, "token").select("id", "n", F.col("second").alias("other"))).where("id <> other")
-        pairs = pairs.groupBy(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).agg(F.max(F.when(F.col("id") > F.col("other"), F.col("n"))).alias("nb"), F.max(F.when(F.col("id") < F.col("other"), F.col("n"))).alias("na"))
-        pairs = pairs.where(F.col("na").isNull() | F.col("nb").isNull() | close(F.col("na"), F.col("nb"))).select("a", "b")
-        for end in "ab":
-            pairs = pairs.join(maps.select(F.col("id").alias(end), F.struct("n", "map").alias(f"of_{end}")), end)
-        pairs = pairs.where(close(F.col("of_a.n"), F.col("of_b.n")) & _may_reach("of_a.", "of_b.", num, den)).select("a", "b")
-        found = scratch.keep(_verified(pairs, sets, num, den), "found")
-        edges = found if edges is None else scratch.keep(edges.unionByName(found), "found")
-        labels = components(edges)
-        tied = tied.drop("component", "main", "main_least").join(labels, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    tied = tied.join(maps.drop("n"), "id")
+        second = minor.groupBy("token").agg(F.min_by("node", chance).alias("other"))
+        pairs = minor.select("node", F.col("hub").alias("other")).unionByName(minor.join(second.hint("merge"), "token").select("node", "other")).where("node <> other")
+        pairs = pairs.select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
+        found = scratch.keep(_verified(pairs, shared, wanted, num, den), "found")
+        scratch.drop(tied)
+        more = found if edges is None else scratch.keep(edges.unionByName(found).distinct(), "found")
+        if edges is not None:
+            scratch.drop(edges, found, labels)
+        edges, labels = more, components(more, scratch)
+    heads = shared.select("node", "map", F.slice("tokens", F.lit(1), F.least(F.lit(HEAD), F.col("upto")[0])).alias("head"))
+    tied = tied.join(heads.hint("merge"), "node")
     x, y = tied.where("component <> main").alias("x"), tied.alias("y")
-    least = F.least("x.l", "y.l")
-    one_way = (F.col("y.component") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))
-    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.component") != F.col("y.component")) & one_way & (F.col("x.level") <= least) & (F.col("y.level") <= least) & close(F.col("x.n"), F.col("y.n")) & _may_reach("x.", "y.", num, den))
-    counted = met.groupBy(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).agg(F.count("*").alias("met"), F.max(least).alias("needed")).where("met >= needed").select("a", "b")
-    last = scratch.keep(_verified(counted, sets, num, den), "found")
-    scratch.drop(sets, prefix, maps)
-    return classes, last if edges is None else edges.unionByName(last)
+    one_way = (F.col("y.component") == F.col("y.main")) | (F.col("x.node") < F.col("y.node"))
+    common = F.array_intersect("x.head", "y.head")
+    once = (F.size(common) == 0) | (common[0] == F.col("x.token"))
+    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.component") != F.col("y.component")) & one_way & _near("x", "y", num, den) & once)
+    met = scratch.keep(met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct(), "met")
+    last = scratch.keep(_verified(met, shared, wanted, num, den), "found")
+    out = last if edges is None else scratch.keep(edges.unionByName(last), "found")
+    scratch.drop(shared, wanted, met, *([] if labels is None else [labels]), *([] if edges is None else [edges, last]))
+    return classes, ids, out
+
+
+def _texts(docs: DataFrame, reps: DataFrame, size: int) -> DataFrame:
+    """(node, members) of the sets of the rows whose id is a representative."""
+    rows = docs.join(reps.select(F.col("rep").alias("id")).hint("shuffle_hash"), "id", "left_semi")
+    return whole_sets(rows, size).select(node().alias("node"), "members")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, threshold: tuple[int, int] = (80, 100)) -> DataFrame:
     """(id, n_shingles, component_id): the component is the smallest id that links reach."""
     source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    classes, edges = links(source, size, *threshold)
-    labels = components(edges)
-    return classes.join(labels.select(F.col("id").alias("rep"), "component"), "rep", "left").select(F.col("id").alias(id_col), F.col("n").cast("long").alias("n_shingles"), F.coalesce("component", "rep").alias("component_id"))
+    classes, ids, edges = links(source, size, *threshold)
+    labels = components(edges).withColumnRenamed("id", "node")
+    known = ids.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    least = known.groupBy("component").agg(F.min("rep").alias("component_id"))
+    known = Scratch(docs.sparkSession).keep(known.join(least, "component").select("sig", "component_id"), "classes")
+    linked = (F.col("n") > 0) & F.col("id").isNotNull()
+    return classes.join(known, "sig", "left").select(F.col("id").alias(id_col), F.col("n").cast("long").alias("n_shingles"), F.when(linked, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
 
 
 def op6_jaccard(spark, sf_dir: str) -> DataFrame:
