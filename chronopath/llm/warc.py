@@ -131,13 +131,14 @@ class Reader:
 def with_revisits(pages: DataFrame, id_col: str, payload_col: str, least_bytes: int) -> DataFrame:
     """Columns id, url, payload, digest and the id it refers to (null for a response).
 
-    Only ids and digests are grouped; payloads move once, by their id.
+    Only ids and digests are grouped; payloads move once, by id and digest, so that rows of one
+    id with different payloads keep their own.
     """
     source = pages.select(F.col(id_col).alias("id"), (F.col("url") if "url" in pages.columns else F.lit(None)).cast("string").alias("url"), F.coalesce(F.encode(F.col(payload_col).cast("string"), "UTF-8"), F.lit(b"")).alias("payload")).withColumn("digest", F.sha1("payload"))
     long = source.where(F.octet_length("payload") >= least_bytes).select("id", "digest")
     kept = long.groupBy("digest").agg(F.max("id").alias("refers_to"), F.count("*").alias("n")).where("n > 1").drop("n")
-    revisits = long.join(kept, "digest").where("id < refers_to").select("id", "refers_to").distinct()
-    return source.join(revisits, "id", "left")
+    revisits = long.join(kept, "digest").where("id < refers_to").select("id", "digest", "refers_to").distinct()
+    return source.join(revisits, ["id", "digest"], "left").select("id", "url", "payload", "digest", "refers_to")
 
 
 def bundles(records: DataFrame, date: str = "1970-01-01T00:00:00Z", bundle_bytes: int = BUNDLE_BYTES, frame_bytes: int = FRAME_BYTES) -> DataFrame:
