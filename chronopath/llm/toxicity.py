@@ -10,9 +10,10 @@ ratio of the back-off weights is left: a scorer needs two numbers an n-gram.
 Every n-gram keeps counts of its own in a table. All shorter forms and the context
 of an n-gram share the two bytes before its last one, so the back-off is worked out
 for each such pair apart, given the probabilities of two bytes (65,536 at most),
-which come from the whole table. Texts are packed into blocks that ask for the ratios
+which come from the whole table. Texts are read in blocks that ask for the ratios
 of their distinct words; equal words of all blocks meet in shards, which ask for their
-distinct n-grams. Neither the driver nor an executor ever holds a whole table.
+distinct n-grams. The answers meet the blocks when these are read a second time, so texts
+move once. Neither the driver nor an executor ever holds a whole table.
 
 A text's evidence is the log-likelihood ratio divided by length: over the whole
 text, over its strongest spans of 1, 8 and 64 words, and counting only what single
@@ -27,26 +28,27 @@ all); repeated rows count and are scored each; other columns pass through.
 
 from __future__ import annotations
 
+import hashlib
 import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from uuid import uuid4
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from chronopath.llm.common import MEMO_ENTRIES, Scratch, lower_words, mix, slices
-from chronopath.llm.labelled import attach, fold, logistic, sample, sigmoid
+from chronopath.llm.common import MEMO_ENTRIES, Scratch, WordColumn, lower_words, mix, slices
+from chronopath.llm.labelled import attach, fold, logistic, sigmoid
 
 ORDER, DISCOUNT = 8, 0.75
 #: Bytes of text packed together, shards of words and n-grams at least, words cut into n-grams at once. They bound memory only.
 BLOCK_BYTES, SHARDS, WORDS_AT_ONCE = 8 << 20, 16, 20_000
 SPANS, FLOORS = (1, 8, 64), (2, 4)
-#: Labelled rows (about), out of those kept from the counts (one in CALIBRATION_FOLDS), that fit the score.
+#: Labelled rows (about) that are kept from the counts and fit the score; one in CALIBRATION_FOLDS if there are fewer.
 CALIBRATION_ROWS, CALIBRATION_FOLDS = 20_000, 5
 THRESHOLD = 0.3
 EVIDENCE = {"mean_ratio": "double"} | {f"span_{n}": "double" for n in SPANS} | {f"above_{n}": "double" for n in FLOORS}
@@ -204,42 +206,73 @@ def look_up(asked: np.ndarray, keys: np.ndarray, seen: np.ndarray, unseen: np.nd
     return out
 
 
-def packed(docs: DataFrame, text_col: str, shards: int) -> DataFrame:
-    """Blocks of rows: one row (block, -1, null, rows as an Arrow stream) and one (block, shard, its words, null) for each shard asked."""
-    at = docs.columns.index(text_col)
+def blocks(batches: Iterator[pa.RecordBatch], at: int) -> Iterator[pa.RecordBatch]:
+    """The rows again, in blocks cut by the bytes of text alone, so that any columns beside the text give the same blocks."""
+    parts, size = [], 0
+    for batch in batches:
+        sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column(at)), 0), dtype=np.int64)
+        ends, done = np.cumsum(sizes), 0
+        while done < batch.num_rows:
+            base = ends[done - 1] if done else 0
+            to = int(np.searchsorted(ends, base + BLOCK_BYTES - size, "left")) + 1
+            parts.append(batch.slice(done, to - done))
+            size += int(ends[min(to, batch.num_rows) - 1] - base)
+            done = to
+            if size >= BLOCK_BYTES:
+                yield pa.Table.from_batches(parts).combine_chunks().to_batches()[0]
+                parts, size = [], 0
+    if parts:
+        yield pa.Table.from_batches(parts).combine_chunks().to_batches()[0]
+
+
+class Block:
+    """The distinct words of a block of texts, in order of their hashes, and its name: a digest of its texts."""
+
+    def __init__(self, column: pa.Array):
+        self.words = WordColumn(column, lower=True)
+        self.hashes, self.first, self.place = np.unique(self.words.hashes, return_index=True, return_inverse=True)
+        self.name = hashlib.blake2b(self.words.data.tobytes() + self.words.offsets.tobytes(), digest_size=16).digest()
+
+    def homes(self, shards: int) -> np.ndarray:
+        return (self.hashes % np.uint64(shards)).astype(np.int32)
+
+    def asked(self, shards: int) -> Iterator[tuple[int, bytes]]:
+        """(shard, its words joined by spaces) of each shard."""
+        begin, end = (x[self.first] for x in self.words.spans)
+        data, home = self.words.data.tobytes().lower(), self.homes(shards)
+        for k in np.unique(home).tolist():
+            own = np.flatnonzero(home == k)
+            yield k, b" ".join([data[a:b] for a, b in zip(begin[own].tolist(), end[own].tolist())])
+
 
-    def rows(parts: list[pa.RecordBatch], words: set[bytes]) -> pa.RecordBatch:
-        sink, homes = pa.BufferOutputStream(), {}
-        with pa.ipc.new_stream(sink, parts[0].schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 5))) as out:
-            for part in parts:
-                out.write_batch(part)
-        for word in sorted(words):
-            homes.setdefault(zlib.crc32(word) % shards, []).append(word)
-        block = uuid4().hex
-        return pa.RecordBatch.from_arrays(
-            [pa.array([block] * (1 + len(homes))), pa.array([-1, *homes], pa.int32()), pa.array([None, *(zlib.compress(b" ".join(own), 3) for own in homes.values())], pa.binary()), pa.array([sink.getvalue().to_pybytes(), *[None] * len(homes)], pa.binary())],
-            names=["block", "shard", "words", "rows"],
-        )
+def asked_words(docs: DataFrame, text_col: str, shards: int) -> DataFrame:
+    """(block, shard, words): the distinct words of each block, by the shard that answers for them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts, words, size = [], set(), 0
-        for batch in slices(batches, text_col):
-            texts = batch.column(at).to_pylist()
-            for text in texts:
-                words.update(lower_words(text))
-            parts.append(batch)
-            size += sum(len(t) for t in texts if t)
-            if size >= BLOCK_BYTES:
-                yield rows(parts, words)
-                parts, words, size = [], set(), 0
-        if parts:
-            yield rows(parts, words)
+        for rows in blocks(batches, 0):
+            block = Block(rows.column(0))
+            found = list(block.asked(shards))
+            yield pa.RecordBatch.from_arrays([pa.array([block.name] * len(found), pa.binary()), pa.array([k for k, _ in found], pa.int32()), pa.array([zlib.compress(w, 3) for _, w in found], pa.binary())], names=["block", "shard", "words"])
+
+    return docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(run, "block binary, shard int, words binary")
+
+
+def packed(docs: DataFrame, text_col: str) -> DataFrame:
+    """(block, rows): each block's rows as a compressed Arrow stream."""
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in blocks(batches, at):
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, rows.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 5))) as out:
+                out.write_batch(rows)
+            yield pa.RecordBatch.from_arrays([pa.array([Block(rows.column(at)).name], pa.binary()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["block", "rows"])
 
-    return docs.mapInArrow(run, "block string, shard int, words binary, rows binary")
+    return docs.mapInArrow(run, "block binary, rows binary")
 
 
 def unpacked(words: bytes) -> list[bytes]:
-    return zlib.decompress(words).split()
+    return zlib.decompress(words).split(b" ")
 
 
 def distinct_words(asked: pa.Table) -> list[bytes]:
@@ -261,7 +294,7 @@ def distinct_grams(tokens: list[bytes]) -> np.ndarray:
 
 
 def word_ratios(asked: DataFrame, table: DataFrame, shards: int) -> DataFrame:
-    """(block, words, found: float32 log ratio of each word) of (block, shard, words)."""
+    """(block, shard, found: float32 log ratio of each word) of (block, shard, words)."""
 
     def located(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -290,44 +323,58 @@ def word_ratios(asked: DataFrame, table: DataFrame, shards: int) -> DataFrame:
             ratio.update(zip(own, np.bincount(word, value[np.searchsorted(keys, key)], minlength=len(own)).tolist()))
         words = asked.column("words").to_pylist()
         values = [np.array([ratio[w] for w in unpacked(x)], np.float32).tobytes() for x in words]
-        return pa.table([asked.column("block"), pa.array(words, pa.binary()), pa.array(values, pa.binary())], names=["block", "words", "found"])
+        return pa.table([asked.column("block"), asked.column("shard"), pa.array(values, pa.binary())], names=["block", "shard", "found"])
 
     known = table.mapInArrow(located, "key long, seen float, unseen float, part int")
     wants = asked.groupBy("shard").applyInArrow(wanted, "shard int, part int, keys binary")
     answers = wants.groupBy("part").cogroup(known.groupBy("part")).applyInArrow(answer, "shard int, part int, found binary")
-    return asked.groupBy("shard").cogroup(answers.groupBy("shard")).applyInArrow(add, "block string, words binary, found binary")
+    return asked.groupBy("shard").cogroup(answers.groupBy("shard")).applyInArrow(add, "block binary, shard int, found binary")
 
 
 def rated(docs: DataFrame, model: Model, text_col: str, out: dict[str, str]) -> DataFrame:
-    """Append the columns ``out``, score and evidence, to each row; same-named columns give way."""
-    kept = docs.drop(*out)
+    """Append the columns ``out``, score and evidence, to each row; same-named columns give way.
+
+    Rows are read twice, once for their words and once to meet the answers, so they have
+    to come in the same order: a plan that shuffles is stored first.
+    """
+    scratch, kept = Scratch(docs.sparkSession), docs.drop(*out)
+    kept = kept.withColumn(text_col, F.col(text_col).cast("string"))
+    if any(x in kept._jdf.queryExecution().optimizedPlan().toString() for x in ("Join", "Aggregate", "Repartition", "Window", "Sort", "Sample", "Limit", "Union")):
+        kept = scratch.keep(kept, "toxicity-rows")
     schema = StructType(list(kept.schema))
     for name, kind in out.items():
         schema = schema.add(name, kind)
-    mean, scale, weights = model.mean, model.scale, model.weights
-    (size,) = kept.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))).first()
+    mean, scale, weights, at = model.mean, model.scale, model.weights, kept.columns.index(text_col)
+    (size,) = kept.agg(F.sum(F.octet_length(text_col))).first()
     shards = max(SHARDS, -(-(size or 0) // (4 * BLOCK_BYTES)))
-    blocks = Scratch(docs.sparkSession).keep(packed(kept, text_col, shards), "toxicity-blocks")
+    found = scratch.keep(word_ratios(asked_words(kept, text_col, shards), model.table, shards), "toxicity-words")
+    scratch.drop()
 
     def finish(block: pa.Table, answers: pa.Table) -> pa.Table:
-        ratio, done = {}, []
-        for words, found in zip(answers.column("words").to_pylist(), answers.column("found").to_pylist()):
-            ratio.update(zip(unpacked(words), np.frombuffer(found, np.float32).tolist()))
-        for part in pa.ipc.open_stream(block.column("rows")[0].as_py()):
-            docs = [lower_words(t) for t in part.column(text_col).to_pylist()]
-            x = np.array([evidence(np.fromiter(map(ratio.__getitem__, doc), np.float64, len(doc))) for doc in docs]).reshape(-1, N_EVIDENCE)
+        ratio, done = None, []
+        for rows in block.column("rows").to_pylist():  # several only where blocks have equal texts
+            (part,) = pa.ipc.open_stream(rows)
+            own = Block(part.column(at))
+            if ratio is None:
+                ratio, home = np.full(len(own.hashes), np.nan), own.homes(shards)
+                for k, x in zip(answers.column("shard").to_pylist(), answers.column("found").to_pylist()):
+                    ratio[home == k] = np.frombuffer(x, np.float32)
+                if np.isnan(ratio).any():
+                    raise RuntimeError("rows came in another order the second time; store them before they are scored")
+            values, starts = ratio[own.place], own.words.starts.tolist()
+            x = np.array([evidence(values[a:b]) for a, b in zip(starts, starts[1:])]).reshape(-1, N_EVIDENCE)
             score = sigmoid(weights[0] + ((x - mean) / scale) @ weights[1:])
             done.append(pa.RecordBatch.from_arrays([*part.columns, *map(pa.array, (score, *x.T))], names=[*part.schema.names, *out]))
         return pa.Table.from_batches(done)
 
-    found = word_ratios(blocks.where("shard >= 0").select("block", "shard", "words"), model.table, shards)
-    return blocks.where("shard < 0").select("block", "rows").groupBy("block").cogroup(found.groupBy("block")).applyInArrow(finish, schema)
+    return packed(kept, text_col).groupBy("block").cogroup(found.groupBy("block")).applyInArrow(finish, schema)
 
 
 def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
     """Learn from (id, text, label): counts from most rows, the score from the rest."""
-    scratch = Scratch(labelled.sparkSession)
-    apart = F.pmod(F.xxhash64(F.col("id").cast("string")), F.lit(CALIBRATION_FOLDS)) == 0
+    scratch, parts = Scratch(labelled.sparkSession), 1 << 20
+    share = min(parts // CALIBRATION_FOLDS, calibration_rows * parts // max(1, labelled.count()))
+    apart = F.pmod(F.xxhash64(F.col("id").cast("string")), F.lit(parts)) < share
     counts = scratch.keep(gram_counts(word_counts(labelled.where(~apart))), "toxicity-grams")
     model = Model(None, np.zeros(1), np.ones(1), np.zeros(1 + N_EVIDENCE))
     if not all(counts.agg(F.sum("toxic"), F.sum("ordinary")).first()):
@@ -335,7 +382,7 @@ def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
         return model
     model.table = scratch.keep(ratio_table(counts), "toxicity-ratios")
     scratch.drop(counts)
-    rows = rated(sample(labelled.where(apart), calibration_rows), model, "text", FEATURES).select("label", *EVIDENCE).toArrow().to_pandas()
+    rows = rated(labelled.where(apart), model, "text", FEATURES).select("label", *EVIDENCE).toArrow().to_pandas()
     if rows.label.nunique() < 2:
         model.constant = float(labelled.agg(F.avg("label")).first()[0])
         return model
