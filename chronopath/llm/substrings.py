@@ -137,16 +137,17 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", win
     classes = eligible.groupBy("sha").agg(F.min("id").alias("first"))
     prints = eligible.join(classes, "sha").where("id = first").dropDuplicates(["id", "sha"]).select("id", "sha", F.explode("prints").alias("print"))
     prints = scratch.keep(prints, "prints")
-    common = prints.groupBy("print").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a < b").select("print")
-    shared = prints.join(common, "print").groupBy("id", "sha").agg(F.collect_list("print").alias("shared"))
+    common = scratch.keep(prints.groupBy("print").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a < b").select("print"), "common")
+    shared = prints.join(common.hint("merge"), "print").groupBy("id", "sha").agg(F.collect_list("print").alias("shared"))
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     candidates = texts.join(shared, "id").where(F.sha2(F.array_join(F.filter(F.split("text", "[\\x20\\x09-\\x0D]+"), lambda w: w != ""), " "), 256) == F.col("sha")).dropDuplicates(["id", "sha"])
     candidates = scratch.keep(candidates, "candidates")
     found = window_rows(candidates, window, run)
     least = found.groupBy("h1", "h2").agg(F.min("id").alias("first"), F.max("id").alias("last")).where("first < last").drop("last")
-    starts = found.join(least, ["h1", "h2"]).where("id > first").groupBy("id", "sha").agg(F.collect_list("start").alias("starts"))
+    least = scratch.keep(least, "least")  # apart from the join, so that a window of very many rows can be split there
+    starts = found.join(least.hint("merge"), ["h1", "h2"]).where("id > first").groupBy("id", "sha").agg(F.collect_list("start").alias("starts"))
     cleaned = scratch.keep(clean(candidates.drop("shared").join(starts, ["id", "sha"]), window), "cleaned")
-    scratch.drop(prints, candidates)
+    scratch.drop(prints, candidates, common, least)
     copies = base.drop("prints").join(classes.where(F.col("first").isNotNull()), "sha", "left").withColumn("copy_of", F.when((F.col("n_words") >= window) & (F.col("id") > F.col("first")), F.col("first"))).drop("first")
     return copies, cleaned
 
