@@ -1,9 +1,10 @@
 """Removal of repeated multi-line chunks, in DataFrame and SQL functions only.
 
 Each line has a hash of its own; a rolling polynomial over the hashes of a line and
-the one before it closes a chunk where it is divisible by ``divisor``, so the
-boundaries depend on nearby lines alone and survive insertions elsewhere. Of chunks
-of two lines or more with equal digests in the whole table, the first (smallest id,
+the one before it marks a line where it is divisible by ``divisor``, and a marked line
+whose predecessor is not marked closes a chunk. So a chunk has two lines at least (but
+perhaps the last of a text), and the boundaries depend on nearby lines alone and survive
+insertions elsewhere. Of chunks of two lines or more with equal digests in the whole table, the first (smallest id,
 then place) stays and the others go, once their bytes have been found equal: the
 smallest and the largest text of the group must be the same. A group whose bytes
 differ is left alone.
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 
 from chronopath.llm.common import Scratch
 
-DIVISOR, MULTIPLIER, MODULUS = 3, 131, 2147483647
+DIVISOR, MULTIPLIER, MODULUS = 2, 131, 2147483647
 
 
 def let(name: str, value: str, body: str) -> str:
@@ -36,11 +37,12 @@ def let(name: str, value: str, body: str) -> str:
 def chunks_of(text: str, divisor: int = DIVISOR) -> str:
     """SQL for the array of (a, b, digest): first and last line of each chunk of several lines, and the MD5 of its text."""
     hashes = f"transform(lines, x -> cast(conv(substring(md5(cast(x as binary)), 1, 15), 16, 10) as bigint) % {MODULUS})"
-    ends = f"filter(sequence(0, size(lines) - 1), i -> i = size(lines) - 1 or ({MULTIPLIER} * (case when i > 0 then hashes[i - 1] else 0 end) + hashes[i]) % {MODULUS} % {divisor} = 0)"
+    marks = f"transform(sequence(0, size(lines) - 1), i -> ({MULTIPLIER} * (case when i > 0 then hashes[i - 1] else 0 end) + hashes[i]) % {MODULUS} % {divisor} = 0)"
+    ends = "filter(sequence(0, size(lines) - 1), i -> i = size(lines) - 1 or (i > 0 and marks[i] and not marks[i - 1]))"
     spans = "filter(transform(ends, (e, k) -> struct(case when k > 0 then ends[k - 1] + 1 else 0 end as a, e as b)), c -> c.b > c.a)"
     texts = f"filter(transform({spans}, c -> struct(c.a as a, c.b as b, {lines_text('c')} as chunk)), c -> c.chunk rlike '[^ \\\\t\\\\r\\\\n]')"
     found = f"transform({texts}, c -> struct(c.a as a, c.b as b, md5(cast(c.chunk as binary)) as digest))"
-    return let("lines", f"split({text}, '\n')", let("hashes", hashes, let("ends", ends, found)))
+    return let("lines", f"split({text}, '\n')", let("hashes", hashes, let("marks", marks, let("ends", ends, found))))
 
 
 def lines_text(span: str) -> str:
@@ -54,14 +56,15 @@ def removals(docs: DataFrame, divisor: int = DIVISOR) -> DataFrame:
     chunks = scratch.keep(known.select("id", "key", F.explode(F.expr(chunks_of("text", divisor))).alias("c")).select("id", "key", "c.a", "c.b", "c.digest").distinct(), "chunks")
     place = F.struct("id", "key", "a")
     first = chunks.groupBy("digest").agg(F.min(place).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    repeated = scratch.keep(chunks.join(first, "digest").select("id", "key", "a", "b", "digest", (place != F.col("first")).alias("later")), "repeated")
+    first = scratch.keep(first, "first")  # apart from the join, so that a digest of very many rows can be split there
+    repeated = scratch.keep(chunks.join(first.hint("merge"), "digest").select("id", "key", "a", "b", "digest", (place != F.col("first")).alias("later")), "repeated")
     wanted = repeated.groupBy("id", "key").agg(F.collect_list(F.struct("a", "b", "digest")).alias("wanted"))
     parts = let("lines", "split(text, '\n')", f"transform(wanted, c -> struct(c.digest as digest, {lines_text('c')} as chunk))")
     texts = known.join(wanted.hint("merge"), ["id", "key"]).select(F.explode(F.expr(parts)).alias("c"))
     equal = texts.groupBy("c.digest").agg((F.min("c.chunk") == F.max("c.chunk")).alias("equal")).where("equal").select("digest")
     gone = repeated.where("later").join(equal, "digest").groupBy("id", "key").agg(F.collect_list(F.struct("a", "b")).alias("gone"))
     out = scratch.keep(gone, "gone")
-    scratch.drop(chunks, repeated)
+    scratch.drop(chunks, repeated, first)
     return out
 
 
@@ -94,9 +97,12 @@ WITH lines AS (
   SELECT d.doc_id, md5(d.text) AS key, u.i - 1 AS i, u.line,
          ('0x' || substr(md5(u.line), 1, 15))::BIGINT % {MODULUS} AS h
   FROM documents d, unnest(string_split(d.text, chr(10))) WITH ORDINALITY AS u(line, i)
-), closed AS (
-  SELECT *, CASE WHEN ({MULTIPLIER} * coalesce(lag(h) OVER w, 0) + h) % {MODULUS} % {DIVISOR} = 0 THEN 1 ELSE 0 END AS closes
+), marked AS (
+  SELECT *, CASE WHEN ({MULTIPLIER} * coalesce(lag(h) OVER w, 0) + h) % {MODULUS} % {DIVISOR} = 0 THEN 1 ELSE 0 END AS mark
   FROM lines WINDOW w AS (PARTITION BY doc_id, key ORDER BY i)
+), closed AS (
+  SELECT *, CASE WHEN mark = 1 AND lag(mark) OVER w = 0 THEN 1 ELSE 0 END AS closes
+  FROM marked WINDOW w AS (PARTITION BY doc_id, key ORDER BY i)
 ), numbered AS (
   SELECT *, coalesce(sum(closes) OVER (PARTITION BY doc_id, key ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS c FROM closed
 ), chunks AS (
