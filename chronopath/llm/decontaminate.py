@@ -17,8 +17,9 @@ lie in the document near the passage.
 The benchmark is read in blocks of bounded size, each broadcast; documents are
 scanned once per block for frequencies and once for passages.
 
-Edge cases: items with fewer than ``LEAST_WORDS`` words are not evidence and are left
-out; null and empty texts match nothing; repeated items match each; a null document
+Edge cases: items with fewer than ``LEAST_WORDS`` words count only where they stand word
+for word in the text, and those with fewer than ``GRAM`` words (less than one n-gram) are
+not evidence and are left out; null and empty texts match nothing; repeated items match each; a null document
 id is carried through; empty tables give no rows; other columns are ignored.
 """
 
@@ -67,18 +68,19 @@ def question_answer(text: str) -> tuple[list[bytes], list[bytes]]:
 class Index:
     """Block-max index of segments; impacts are shares of a segment's own score."""
 
-    def __init__(self, items: list[tuple], frequency: dict[bytes, int], n_docs: int, threshold: float = THRESHOLD):
+    def __init__(self, items: list[tuple], frequency: dict[bytes, int], n_docs: int, threshold: float = THRESHOLD, average: float | None = None):
         self.threshold, self.items, self.segments = threshold, [], []
         for key, text in items:
             words = terms(text)
-            if len(words) < LEAST_WORDS:
+            if len(words) < GRAM:
                 continue
-            self.items.append((key, *question_answer(text)))
+            self.items.append((key, [], words) if len(words) < LEAST_WORDS else (key, *question_answer(text)))
             pieces = max(1, -(-len(words) // SEGMENT))
             size = -(-len(words) // pieces)
             self.segments += [(len(self.items) - 1, words[i : i + size]) for i in range(0, len(words), size)]
         self.vocabulary = {t: k for k, t in enumerate(sorted({t for _, words in self.segments for t in words}))}
-        average = sum(len(w) for _, w in self.segments) / max(1, len(self.segments))
+        self.words = sum(len(w) for _, w in self.segments)
+        average = average or self.words / max(1, len(self.segments))
         names = list(self.vocabulary)
         idf = [math.log1p((n_docs - min(n_docs, frequency.get(t, 0)) + 0.5) / (frequency.get(t, 0) + 0.5)) for t in names]
         lists: dict[int, list[tuple[int, float]]] = defaultdict(list)
@@ -195,6 +197,10 @@ def overlaps(question: list[bytes], answer: list[bytes], region: list[bytes]) ->
     return share(question, near, GRAM), share(answer, near, GRAM)
 
 
+def holds(region: list[bytes], part: list[bytes]) -> bool:
+    return any(region[i : i + len(part)] == part for i in range(len(region) - len(part) + 1))
+
+
 def matches(docs: DataFrame, index: Index, item_type: str) -> DataFrame:
     """(id, item, score, question_overlap, answer_overlap) of (id, text) for one index block."""
     shared = docs.sparkSession.sparkContext.broadcast(index)
@@ -227,7 +233,8 @@ def matches(docs: DataFrame, index: Index, item_type: str) -> DataFrame:
                     key, question, answer = index.items[item]
                     reach = PASSAGE + len(question) + len(answer)
                     for score, s in sorted(set(found), reverse=True):  # the first passage around which the item is found
-                        q, a = overlaps(question, answer, words[max(0, s - reach) : s + reach + PASSAGE])
+                        region = words[max(0, s - reach) : s + reach + PASSAGE]
+                        q, a = overlaps(question, answer, region) if question else (1.0, float(holds(region, answer)))
                         if q >= QUESTION_OVERLAP and a >= ANSWER_OVERLAP:
                             rows.append((k, key, score, q, a))
                             break
@@ -244,11 +251,13 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     (chars,) = items.agg(F.sum(F.char_length("text"))).first()
     blocks = max(1, -(-(chars or 0) // BLOCK_CHARS))
     kind = items.schema["item"].dataType.simpleString()
+    block = lambda k: [tuple(r) for r in items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == k).orderBy("item", "text").collect()]
+    sizes = [(plain.words, len(plain.segments)) for plain in (Index(block(k), {}, 0) for k in range(blocks))]
+    average = sum(n for n, _ in sizes) / max(1, sum(k for _, k in sizes))  # over all blocks, so that a score does not depend on them
     found = []
     for k in range(blocks):
-        rows = [tuple(r) for r in items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == k).orderBy("item", "text").collect()]
-        plain = Index(rows, {}, 0)
-        found.append(matches(source, Index(rows, *frequencies(source, plain.vocabulary)), kind))
+        rows = block(k)
+        found.append(matches(source, Index(rows, *frequencies(source, Index(rows, {}, 0).vocabulary), average=average), kind))
     return reduce(DataFrame.unionByName, found).withColumnsRenamed({"id": id_col, "item": item_col})
 
 
