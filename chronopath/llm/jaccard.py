@@ -187,12 +187,13 @@ def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, Da
     # What sets share: a row of each (shingle, set), then a row of each set.
     postings = sigs.select("node", F.explode("tokens").alias("token"))
     often = postings.groupBy("token").agg(F.count("*").alias("df")).where("df > 1").select("token")
+    often = scratch.keep(often, "often")  # apart from the join, so that a token of very many sets can be split there
     places = postings.join(often.hint("merge"), "token").groupBy("node").agg(F.collect_list("token").alias("own"))
     base_size = F.col("n") - overlap(F.col("n"), num, den)
     upto = F.array(*(F.size(F.array_intersect(F.slice("tokens", F.lit(1), base_size + k), "own")) for k in range(1, LEVELS + 1)))
     shared = sigs.drop("sig").join(places.hint("merge"), "node").withColumn("upto", upto).withColumn("tokens", F.array_intersect("tokens", "own")).drop("own")
     shared = scratch.keep(shared.where("upto[0] > 0"), "shared")
-    scratch.drop()
+    scratch.drop(often)
     wanted = scratch.keep(_texts(docs, sigs.join(shared.select("node"), "node", "left_semi").select("rep").distinct(), size), "members")
     ids = scratch.keep(sigs.select("sig", "node", "rep"), "nodes")
     scratch.drop(sigs)
