@@ -6,11 +6,12 @@ import zlib
 from functools import cache
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from chronopath.llm import components, decontaminate, jaccard, lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
-from chronopath.llm.common import Scratch, bpe, tokenizer_path
+from chronopath.llm.common import Scratch, WordColumn, bpe, tokenizer_path
 
 rng = random.Random(4)
 WORDS = ["".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 7))) for _ in range(400)]
@@ -48,8 +49,9 @@ def test_bpe_equals_the_tokenizers_library():
     from tokenizers import Tokenizer
 
     other = Tokenizer.from_file(tokenizer_path("byte_bpe_50k.json"))
-    other.encode_special_tokens = True
-    for t in [t for _, t in corpus() if t] + ["a  b", " a", "a ", "  ", "it's\n\nthat \t x", "<|endoftext|> 12 345", "a  b", " x \r\n y"]:
+    odd = [" ", " ", "\xa0", "\u3000", "\t", "\r", "\n", "\x1c", "\x85", "\u2003", "a", "fußball-ÿz", "Слово,", "12x", "'s", "é", "1", "!", "漢", "'", "\U0001f600", "<|endoftext|>"]
+    mixed = ["".join(rng.choices(odd[: len(odd) - (i % 9 > 0)], k=rng.randint(0, 12))) for i in range(20_000)]
+    for t in mixed + [t for _, t in corpus() if t] + ["a  b", " a", "a ", "  ", "it's\n\nthat \t x", "<|endoftext|> 12 345", "a  b", " x \r\n y"]:
         assert np.frombuffer(bpe().encode(t), "<u4").tolist() == other.encode(t, add_special_tokens=False).ids
 
 
@@ -151,6 +153,12 @@ def test_warc(spark, tmp_path):
     assert warc.export_bundles(stored, str(tmp_path)).count() == stored.count() == len(list(tmp_path.glob("*.zst")))
 
 
+def test_warc_keeps_payloads_of_repeated_ids(spark):
+    a, b = "a" * 1500, "b" * 1500
+    found = warc.read_bundles(warc.write_pages(spark.createDataFrame([(1, a), (2, a), (1, b)], "page_id long, html string"))).collect()
+    assert sorted((r.page_id, r.record_type, r.refers_to or 0, (r.payload or b"").decode()[:1]) for r in found) == [(1, "response", 0, "b"), (1, "revisit", 2, ""), (2, "response", 0, "a")]
+
+
 def test_frames_are_independent():
     bundle = warc.Bundle(frame_bytes=2000)
     for i in range(50):
@@ -189,6 +197,25 @@ def test_near_duplicates(docs, empty, n, num):
     assert got == groups(corpus(), n, num, 100)
 
 
+def test_word_hashes_are_those_of_the_words():
+    texts = [t for _, t in corpus()] + ["x" * 300 + " Y" * 3, "A\x0bb\x1cC d", "\n", "é É"] + ["ab " * 200_000]
+    for lower in (False, True):
+        found, seen = WordColumn(pa.array([None, *texts]), lower), {}
+        own = [(t or "").encode() for t in texts]
+        own = [(t.lower() if lower else t).split() for t in own]
+        assert found.sizes.tolist() == [0, *map(len, own)]
+        for word, h in zip((w for t in own for w in t), found.hashes.tolist()):
+            assert seen.setdefault(word, h) == h
+        assert len(set(seen.values())) == len(seen)
+
+
+def test_near_duplicates_of_repeated_ids(spark):
+    a, b = text(60), text(60)
+    rows = [(1, a), (1, b), (1, a), (2, "other words"), (3, b + " more"), (None, b)]
+    found = jaccard.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), size=4, threshold=(85, 100)).collect()
+    assert sorted((r.doc_id or 0, r.n_shingles, r.component_id or 0) for r in found) == [(0, 57, 0), (1, 57, 1), (1, 57, 1), (1, 57, 1), (2, 1, 2), (3, 58, 1)]
+
+
 def test_near_duplicates_empty(empty):
     assert jaccard.near_duplicates(empty).count() == 0
 
@@ -251,6 +278,19 @@ def test_decontamination(spark, docs, empty):
     assert decontaminate.contaminated(empty, bench).count() == 0 and decontaminate.contaminated(docs, bench.where("false")).count() == 0
 
 
+def test_decontamination_of_short_items(spark):
+    items = spark.createDataFrame([(1, "five rather short test words"), (2, "three words only")], "item_id long, text string")
+    docs = spark.createDataFrame([(1, text(50) + " five rather short test words " + text(50)), (2, "five rather short words test " + text(40)), (3, "three words only " + text(30))], "doc_id long, text string")
+    assert [(r.doc_id, r.item_id if "item_id" in r else r.item) for r in decontaminate.contaminated(docs, items).collect()] == [(1, 1)]
+
+
+def test_decontamination_does_not_depend_on_blocks(spark, docs, monkeypatch):
+    items = spark.createDataFrame([(i, t) for i, t in corpus() if t and 20 < len(t.split()) < 200], "item_id long, text string")
+    whole = sorted(map(str, decontaminate.contaminated(docs, items).collect()))
+    monkeypatch.setattr(decontaminate, "BLOCK_CHARS", 2000)
+    assert whole and sorted(map(str, decontaminate.contaminated(docs, items).collect())) == whole
+
+
 def test_decontamination_verifies_every_passage(spark):
     """The best passage quotes a part of the item only; the item stands far from it, with a few words changed."""
     gen = random.Random(3)
@@ -306,6 +346,44 @@ def test_kneser_ney_probabilities_add_up():
     assert (np.bincount(at, p) <= 1 + 1e-5).all() and (p > 0).all()
 
 
+def test_kneser_ney_ratios_equal_a_plain_recursion():
+    """Log ratios of n-grams against a dictionary-based model, order 4."""
+    order, d = 4, toxicity.DISCOUNT
+    tokens = [w.encode() for w in WORDS[:60]]
+    keys, word = toxicity.grams(tokens, order)
+    weight = np.array([[rng.randint(0, 3), rng.randint(0, 3)] for _ in tokens])
+    seen, at = np.unique(keys, return_inverse=True)
+    counts = [np.bincount(at, weight[word, c]).astype(np.int64) for c in (0, 1)]
+    some = counts[0] + counts[1] > 0
+    seen, counts = seen[some], [c[some] for c in counts]
+    text_of = lambda key, n: bytes(int(key) >> 8 * k & 255 for k in range(n - 1, -1, -1))
+    left = {n: {} for n in range(1, order)}  # n-gram -> different bytes before it
+    for g in (text_of(k, order) for k in seen):
+        for n in range(order - 1, 0, -1):
+            left[n].setdefault(g[-n:], set()).add(g[-n - 1])
+
+    def shared(g):
+        if len(g) == 1:
+            n = sum(len(x) for x in left[1].values())
+            return 0.999 * len(left[1].get(g, ())) / n + 0.001 / 256
+        same = {x: len(v) for x, v in left[len(g)].items() if x[:-1] == g[:-1]}
+        return (max(same.get(g, 0) - d, 0) + d * len(same) * shared(g[1:])) / sum(same.values())
+
+    pairs = np.zeros(1 << 16, np.float32)
+    for g in left[2]:
+        pairs[g[0] << 8 | g[1]] = shared(g)
+    found, back = toxicity.ratios(seen, counts[0], counts[1], pairs, order)
+    for k, key in enumerate(seen):
+        g, logs, backs = text_of(key, order), [], []
+        for c in (0, 1):
+            same = [int(n) for n, x in zip(counts[c], seen) if text_of(x, order)[:-1] == g[:-1]]
+            total, types = sum(same), sum(n > 0 for n in same)
+            off = d * types / total if total else 1.0
+            logs.append(np.log(max(int(counts[c][k]) - d, 0) / max(total, 1) + off * shared(g[1:])))
+            backs.append(np.log(off))
+        assert abs(found[k] - (logs[0] - logs[1])) < 1e-3 and abs(back[k] - (backs[0] - backs[1])) < 1e-4
+
+
 def test_toxicity_counts_every_ngram(spark):
     """More n-grams than a table of 2^22 hashed places holds apart; words never seen back off."""
     gen = random.Random(9)
