@@ -63,10 +63,8 @@ class Scratch:
             path.getFileSystem(conf).delete(path, True)
         jvm.System.gc()
 
-
-def wide(df: DataFrame, by, spark: SparkSession) -> DataFrame:
-    """Deal rows out by a key over the session's shuffle partitions."""
-    return df.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), by)
+    def drop_all(self) -> None:
+        self.drop(*(df for _, df in list(self.paths.values())))
 
 
 def slices(batches: Iterable[pa.RecordBatch], text: str = "text", limit: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:

@@ -294,23 +294,27 @@ def distinct_grams(tokens: list[bytes]) -> np.ndarray:
 
 
 def word_ratios(asked: DataFrame, table: DataFrame, shards: int) -> DataFrame:
-    """(block, shard, found: float32 log ratio of each word) of (block, shard, words)."""
+    """(block, shard, found: log ratio of each word, to three digits) of (block, shard, words)."""
 
     def located(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(shard(batch.column(0).to_numpy().view(np.uint64), shards))], names=[*batch.schema.names, "part"])
+            keys, seen, unseen = (batch.column(i).to_numpy() for i in range(3))
+            part, order = shard(keys.view(np.uint64), shards), np.argsort(keys)
+            parts = np.unique(part)
+            own = [order[part[order] == k] for k in parts]
+            yield pa.RecordBatch.from_arrays([pa.array(parts), *(pa.array([x[k].tobytes() for k in own], pa.binary()) for x in (keys, seen, unseen))], names=["part", "key", "seen", "unseen"])
 
     def wanted(asked: pa.Table) -> pa.Table:
         keys = distinct_grams(distinct_words(asked))
         home = shard(keys, shards)
         parts = np.unique(home)
-        return pa.table([pa.array([asked.column("shard")[0].as_py()] * len(parts), pa.int32()), pa.array(parts, pa.int32()), pa.array([keys[home == k].tobytes() for k in parts], pa.binary())], names=["shard", "part", "keys"])
+        return pa.table([pa.array([asked.column("shard")[0].as_py()] * len(parts), pa.int32()), pa.array(parts, pa.int32()), pa.array([zlib.compress(keys[home == k].tobytes(), 1) for k in parts], pa.binary())], names=["shard", "part", "keys"])
 
     def answer(wanted: pa.Table, known: pa.Table) -> pa.Table:
-        keys = known.column("key").to_numpy().view(np.uint64)
+        keys, seen, unseen = (np.frombuffer(b"".join(known.column(c).to_pylist()), kind) for c, kind in (("key", np.uint64), ("seen", np.float32), ("unseen", np.float32)))
         order = np.argsort(keys)
-        keys, seen, unseen = keys[order], known.column("seen").to_numpy()[order], known.column("unseen").to_numpy()[order]
-        values = [look_up(np.frombuffer(k, np.uint64), keys, seen, unseen).tobytes() for k in wanted.column("keys").to_pylist()]
+        keys, seen, unseen = keys[order], seen[order], unseen[order]
+        values = [look_up(np.frombuffer(zlib.decompress(k), np.uint64), keys, seen, unseen).tobytes() for k in wanted.column("keys").to_pylist()]
         return pa.table([wanted.column("shard"), wanted.column("part"), pa.array(values, pa.binary())], names=["shard", "part", "found"])
 
     def add(asked: pa.Table, answers: pa.Table) -> pa.Table:
@@ -322,22 +326,22 @@ def word_ratios(asked: DataFrame, table: DataFrame, shards: int) -> DataFrame:
         for own, key, word in portions(tokens):
             ratio.update(zip(own, np.bincount(word, value[np.searchsorted(keys, key)], minlength=len(own)).tolist()))
         words = asked.column("words").to_pylist()
-        values = [np.array([ratio[w] for w in unpacked(x)], np.float32).tobytes() for x in words]
+        values = [np.array([ratio[w] for w in unpacked(x)], np.float16).tobytes() for x in words]
         return pa.table([asked.column("block"), asked.column("shard"), pa.array(values, pa.binary())], names=["block", "shard", "found"])
 
-    known = table.mapInArrow(located, "key long, seen float, unseen float, part int")
+    known = table.select("key", "seen", "unseen").mapInArrow(located, "part int, key binary, seen binary, unseen binary")
     wants = asked.groupBy("shard").applyInArrow(wanted, "shard int, part int, keys binary")
     answers = wants.groupBy("part").cogroup(known.groupBy("part")).applyInArrow(answer, "shard int, part int, found binary")
     return asked.groupBy("shard").cogroup(answers.groupBy("shard")).applyInArrow(add, "block binary, shard int, found binary")
 
 
-def rated(docs: DataFrame, model: Model, text_col: str, out: dict[str, str]) -> DataFrame:
+def rated(docs: DataFrame, model: Model, text_col: str, out: dict[str, str], scratch: Scratch | None = None) -> DataFrame:
     """Append the columns ``out``, score and evidence, to each row; same-named columns give way.
 
     Rows are read twice, once for their words and once to meet the answers, so they have
     to come in the same order: a plan that shuffles is stored first.
     """
-    scratch, kept = Scratch(docs.sparkSession), docs.drop(*out)
+    scratch, kept = scratch or Scratch(docs.sparkSession), docs.drop(*out)
     kept = kept.withColumn(text_col, F.col(text_col).cast("string"))
     if any(x in kept._jdf.queryExecution().optimizedPlan().toString() for x in ("Join", "Aggregate", "Repartition", "Window", "Sort", "Sample", "Limit", "Union")):
         kept = scratch.keep(kept, "toxicity-rows")
@@ -358,7 +362,7 @@ def rated(docs: DataFrame, model: Model, text_col: str, out: dict[str, str]) ->
             if ratio is None:
                 ratio, home = np.full(len(own.hashes), np.nan), own.homes(shards)
                 for k, x in zip(answers.column("shard").to_pylist(), answers.column("found").to_pylist()):
-                    ratio[home == k] = np.frombuffer(x, np.float32)
+                    ratio[home == k] = np.frombuffer(x, np.float16)
                 if np.isnan(ratio).any():
                     raise RuntimeError("rows came in another order the second time; store them before they are scored")
             values, starts = ratio[own.place], own.words.starts.tolist()
@@ -382,12 +386,13 @@ def fit(labelled: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> Model:
         return model
     model.table = scratch.keep(ratio_table(counts), "toxicity-ratios")
     scratch.drop(counts)
-    rows = rated(labelled.where(apart), model, "text", FEATURES).select("label", *EVIDENCE).toArrow().to_pandas()
+    own = Scratch(labelled.sparkSession)
+    rows = rated(labelled.where(apart), model, "text", FEATURES, own).select("label", *EVIDENCE).toArrow().to_pandas()
+    own.drop_all()
     if rows.label.nunique() < 2:
         model.constant = float(labelled.agg(F.avg("label")).first()[0])
         return model
     model.mean, model.scale, model.weights = logistic(rows[list(EVIDENCE)].to_numpy(float), rows.label.to_numpy(float))
-    labelled.sparkSession._jvm.System.gc()  # lets Spark delete the shuffle files of the counts, which nothing reads any more
     return model
 
 
