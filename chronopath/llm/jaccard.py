@@ -162,17 +162,24 @@ def _enough(x: str, y: str) -> Column:
     return reduce(Column.__and__, [(level <= k) | (F.size(F.array_intersect(upto(x, k), upto(y, k))) > k) for k in range(LEVELS)])
 
 
-def _verified(pairs: DataFrame, shared: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """The (a, b) whose prefixes, then whole sets, reach the threshold."""
+def _verified(pairs: DataFrame, shared: DataFrame, docs: DataFrame, ids: DataFrame, size: int, num: int, den: int, scratch: Scratch) -> DataFrame:
+    """The (a, b), stored, whose maps and prefixes, then whole sets, reach the threshold; only sets of such pairs are built."""
     side = lambda t, x, *cols: t.select(F.col("node").alias(x), F.struct(*cols).alias(f"of_{x}"))
     for x in "ab":
         pairs = pairs.join(side(shared, x, "n", "l", "map", "tokens", "upto"), x)
-    pairs = pairs.where(_near("of_a", "of_b", num, den) & _enough("of_a", "of_b")).select("a", "b").distinct()
+    pairs = scratch.keep(pairs.where(_near("of_a", "of_b", num, den) & _enough("of_a", "of_b")).select("a", "b").distinct(), "plausible")
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(ids, "node").select(F.col("rep").alias("id")).distinct()
+    rows = docs.join(wanted.hint("shuffle_hash"), "id", "left_semi")
+    sets = scratch.keep(whole_sets(rows, size).select(node().alias("node"), "members"), "members")
+    scratch.drop()
+    both = pairs
     for x in "ab":
-        pairs = pairs.join(side(sets, x, "members"), x)
-    both = F.size(F.array_intersect("of_a.members", "of_b.members"))
-    union = F.size("of_a.members") + F.size("of_b.members") - both
-    return pairs.where(both * den >= union * num).select("a", "b").distinct()
+        both = both.join(side(sets, x, "members"), x)
+    inside = F.size(F.array_intersect("of_a.members", "of_b.members"))
+    union = F.size("of_a.members") + F.size("of_b.members") - inside
+    found = scratch.keep(both.where(inside * den >= union * num).select("a", "b").distinct(), "found")
+    scratch.drop(pairs, sets)
+    return found
 
 
 def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -193,10 +200,9 @@ def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, Da
     upto = F.array(*(F.size(F.array_intersect(F.slice("tokens", F.lit(1), base_size + k), "own")) for k in range(1, LEVELS + 1)))
     shared = sigs.drop("sig").join(places.hint("merge"), "node").withColumn("upto", upto).withColumn("tokens", F.array_intersect("tokens", "own")).drop("own")
     shared = scratch.keep(shared.where("upto[0] > 0"), "shared")
-    scratch.drop(often)
-    wanted = scratch.keep(_texts(docs, sigs.join(shared.select("node"), "node", "left_semi").select("rep").distinct(), size), "members")
     ids = scratch.keep(sigs.select("sig", "node", "rep"), "nodes")
-    scratch.drop(sigs)
+    scratch.drop(often, sigs)
+    verified = lambda pairs: _verified(pairs, shared, docs, ids, size, num, den, scratch)
     nodes = shared.select("node", "n", F.explode(F.slice("tokens", F.lit(1), F.col("upto")[0])).alias("token"))
 
     edges, labels, before = None, None, 0
@@ -215,32 +221,26 @@ def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, Da
         second = minor.groupBy("token").agg(F.min_by("node", chance).alias("other"))
         pairs = minor.select("node", F.col("hub").alias("other")).unionByName(minor.join(second.hint("merge"), "token").select("node", "other")).where("node <> other")
         pairs = pairs.select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
-        found = scratch.keep(_verified(pairs, shared, wanted, num, den), "found")
+        found = verified(pairs)
         scratch.drop(tied)
         more = found if edges is None else scratch.keep(edges.unionByName(found).distinct(), "found")
         if edges is not None:
             scratch.drop(edges, found, labels)
         edges, labels = more, components(more, scratch)
     heads = shared.select("node", "map", F.slice("tokens", F.lit(1), F.least(F.lit(HEAD), F.col("upto")[0])).alias("head"))
-    tied = tied.join(heads.hint("merge"), "node")
-    x, y = tied.where("component <> main").alias("x"), tied.alias("y")
+    headed = tied.join(heads.hint("merge"), "node")
+    x, y = headed.where("component <> main").alias("x"), headed.alias("y")
     one_way = (F.col("y.component") == F.col("y.main")) | (F.col("x.node") < F.col("y.node"))
     common = F.array_intersect("x.head", "y.head")
     once = (F.size(common) == 0) | (common[0] == F.col("x.token"))
     met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.component") != F.col("y.component")) & one_way & _near("x", "y", num, den) & once)
     met = scratch.keep(met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct(), "met")
-    last = scratch.keep(_verified(met, shared, wanted, num, den), "found")
+    last = verified(met)
     out = last if edges is None else scratch.keep(edges.unionByName(last), "found")
-    scratch.drop(shared, wanted, met, *([] if labels is None else [labels]), *([] if edges is None else [edges, last]))
+    scratch.drop(shared, met, tied, *([] if labels is None else [labels]), *([] if edges is None else [edges, last]))
     return classes, ids, out
 
 
-def _texts(docs: DataFrame, reps: DataFrame, size: int) -> DataFrame:
-    """(node, members) of the sets of the rows whose id is a representative."""
-    rows = docs.join(reps.select(F.col("rep").alias("id")).hint("shuffle_hash"), "id", "left_semi")
-    return whole_sets(rows, size).select(node().alias("node"), "members")
-
-
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5, threshold: tuple[int, int] = (80, 100)) -> DataFrame:
     """(id, n_shingles, component_id): the component is the smallest id that links reach."""
     source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
