@@ -24,6 +24,8 @@ from chronopath.streaming import streams
 
 SOURCE, BATCH = 0, 100
 LONG, SHORT = 64, 3  # snapshots of the concurrent strategies; of those that loop over snapshots
+#: The published sweeps: snapshots, and batches as 1/3, 2/3, 1, 4/3 and 5/3 of the standard one.
+SWEEP_SNAPSHOTS, SWEEP_BATCHES = (32, 64, 128), (33, 67, 100, 133, 167)
 TOGETHER = ("recompute_together", "residual_conc", "residual_conc_shared", "core_conc")
 
 _memo: dict[tuple, object] = {}
@@ -163,8 +165,8 @@ def queries() -> dict:
         for s in S.STRATEGIES:
             out[f"results_{s}_{a}"] = lambda spark, sf_dir, a=a, s=s: results(spark, sf_dir, a, s, LONG if s in TOGETHER else SHORT)
         out |= {f"w1_unchanged_share_{a}": partial(_share, a), f"w3_residual_sizes_{a}": partial(_sizes, a), f"w4_detection_{a}": partial(_detection, a)}
-    out["w6_sizes_by_s"] = partial(_sweep, (16, 32, 64), "snapshots")
-    out["w7_sizes_by_batch"] = partial(_sweep, (50, 100, 200), "batch")
+    out["w6_sizes_by_s"] = partial(_sweep, SWEEP_SNAPSHOTS, "snapshots")
+    out["w7_sizes_by_batch"] = partial(_sweep, SWEEP_BATCHES, "batch")
     out["sharing_tree_additions"] = _tree
     out |= {f"graph_{g}_edges": f for g, f in graphs.GRAPHS.items()}
     return out | relational.queries() | streams.queries()
@@ -219,8 +221,8 @@ def oracle_sql() -> dict[str, str]:
           SELECT *, stable - found AS unsafe, found / nullif(unchanged, 0) AS recall FROM n"""
         out[f"w3_residual_sizes_{a}"] = _sizes_sql(a)
     columns = "core_edges, residual_edges, vertices, unstable, added_total, trimmed_total"
-    out["w6_sizes_by_s"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS snapshots, {columns} FROM ({_sizes_sql('shortest', n)})" for n in (16, 32, 64))
-    out["w7_sizes_by_batch"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS batch, {columns} FROM ({_sizes_sql('shortest', LONG, n)})" for n in (50, 100, 200))
+    out["w6_sizes_by_s"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS snapshots, {columns} FROM ({_sizes_sql('shortest', n)})" for n in SWEEP_SNAPSHOTS)
+    out["w7_sizes_by_batch"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS batch, {columns} FROM ({_sizes_sql('shortest', LONG, n)})" for n in SWEEP_BATCHES)
     ranges = [(lo, hi, p[0], p[1]) for lo, hi, *p in sharing.plan_tree(0, 7)]
     through = lambda i, j: f"count(*) FILTER (WHERE born <= {i} AND died > {j})"
     rows = [f"SELECT {i}::INTEGER AS lo, {j}::INTEGER AS hi, {through(i, j)}{'' if p is None else ' - ' + through(p, q)} AS n_added FROM lt" for i, j, p, q in ranges]

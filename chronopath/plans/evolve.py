@@ -85,6 +85,13 @@ def batches(lifetimes: DataFrame, snapshots: int) -> DataFrame:
     return added.unionByName(deleted)
 
 
+def batch_between(lifetimes: DataFrame, before: int, after: int) -> DataFrame:
+    """(op, src, dst, w): what turns one snapshot into a later one, read off the lives that begin or end between them."""
+    here, there = ((F.col("born") <= i) & (F.col("died") > i) for i in (before, after))
+    changed = lifetimes.where(here != there)
+    return changed.select(F.when(here, F.lit("del")).otherwise(F.lit("add")).alias("op"), "src", "dst", "w")
+
+
 def lifetimes_from_batches(base: DataFrame, steps: DataFrame, snapshots: int) -> DataFrame:
     """Lives of a base graph under batches; a deletion ends the life that its pair has then."""
     events = base.select(F.lit(0).alias("step"), F.lit("add").alias("op"), "src", "dst", "w").unionByName(steps)

@@ -12,25 +12,23 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from chronopath.functions.algebra import PathAlgebra
-from chronopath.plans.fixpoint import MAX_ROUNDS, Work, candidates, iterate, relax_additions
+from chronopath.plans.fixpoint import Work, candidates, iterate, relax_additions
 from chronopath.storage import Stored, store
 
 
 def invalidated(state: DataFrame, deleted: DataFrame) -> DataFrame:
-    """Vertices whose chain of parents uses a deleted edge, found by doubling: each vertex looks twice as far in each round."""
-    cut = state.where("parent is not null").join(deleted.select(F.col("src").alias("parent"), F.col("dst").alias("v")), ["parent", "v"], "left_semi").select("v", F.lit(True).alias("bad"))
-    now = Stored(state.select("v", F.col("parent").alias("up")).join(cut, "v", "left").withColumn("bad", F.coalesce("bad", F.lit(False))), "chains", bad=F.sum(F.col("bad").cast("long")))
-    if not now.seen["bad"]:
-        return now.df.where("bad").select("v")
-    for _ in range(MAX_ROUNDS):
-        above = now.df.select(F.col("v").alias("up"), F.col("up").alias("upper"), F.col("bad").alias("above_bad"))
-        step = now.df.join(above, "up", "left").select("v", F.col("upper").alias("up"), (F.col("bad") | F.coalesce("above_bad", F.lit(False))).alias("bad"))
-        after = Stored(step, "chains", bad=F.sum(F.col("bad").cast("long")), open=F.sum(F.col("up").isNotNull().cast("long")))
-        now.drop()
-        now = after
-        if not now.seen["open"]:
-            break
-    return now.df.where("bad").select("v")
+    """Vertices whose chain of parents uses a deleted edge: the heads of such edges, then their children level by level.
+
+    A level costs one pass over (v, parent) against the level above, which holds invalid
+    vertices only, so a batch pays for the subtrees that it cuts and not for the forest.
+    """
+    links = state.where("parent is not null").select("v", "parent")
+    level = Stored(links.join(deleted.select(F.col("src").alias("parent"), F.col("dst").alias("v")), ["parent", "v"], "left_semi").select("v"), "cut")
+    found = level.df
+    while level.seen["rows"]:  # ends, since parents form a forest
+        level = Stored(links.join(level.df.select(F.col("v").alias("parent")), "parent", "left_semi").select("v"), "cut")
+        found = found.unionByName(level.df)
+    return found.distinct()
 
 
 def apply_deletions(state: DataFrame, edges: DataFrame, deleted: DataFrame, algebra: PathAlgebra, work: Work | None = None) -> DataFrame:

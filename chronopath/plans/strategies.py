@@ -106,15 +106,10 @@ def recompute_together(lifetimes, query, stats):
 def stream_inc(lifetimes, query, stats, fused: bool = False):
     wanted = sorted(query.snapshots)
     with stats.phase("evaluate") as work:
-        now = store(E.snapshot(lifetimes, wanted[0]), "snapshot")
-        states = {wanted[0]: solve_full(now, query.source, query.algebra, work, track_parent=True)}
+        states = {wanted[0]: solve_full(E.snapshot(lifetimes, wanted[0]), query.source, query.algebra, work, track_parent=True)}
         for before, i in zip(wanted, wanted[1:]):
-            following = store(E.snapshot(lifetimes, i), "snapshot")
-            added = following.exceptAll(now).select(F.lit("add").alias("op"), "src", "dst", "w")
-            deleted = now.exceptAll(following).select(F.lit("del").alias("op"), "src", "dst", "w")
-            batch = store(added.unionByName(deleted), "batch")
-            states[i] = I.apply_batch(states[before], now, following, batch, query.algebra, work, fused)
-            now = following
+            batch = store(E.batch_between(lifetimes, before, i), "batch")
+            states[i] = I.apply_batch(states[before], E.snapshot(lifetimes, before), E.snapshot(lifetimes, i), batch, query.algebra, work, fused)
         return _labelled(states)
 
 
