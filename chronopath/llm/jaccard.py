@@ -131,7 +131,7 @@ def prefixes(docs: DataFrame, size: int, num: int, den: int, counts: np.ndarray)
 
 
 def node(sig: str | Column = "sig") -> Column:
-    """A set's number: 64 bits of its digest."""
+    """A set's number in the search for candidates: 60 bits of its digest."""
     return F.conv(F.substring(F.hex(sig), 1, 15), 16, 10).cast("long")
 
 
