@@ -70,26 +70,54 @@ def stream_pairs(spark, sf_dir):
     return run_to_table(a.join(b, F.expr("user_id = buyer and bought > at and bought <= at + interval 1 hour")).select("x", "y"))
 
 
-def _lives(key, frames, state):
-    """Open and close an edge's life as its events come; state: (born day, last day)."""
-    born, last = state.get if state.exists else (None, None)
-    days = sorted({d for f in frames for d in f["day"]})
-    closed = []
-    for d in days:
-        if last is not None and d - last > 3:
-            closed.append((born, last + 1))
-            born = None
-        born, last = d if born is None else born, d
-    state.update((born, last))
-    yield pd.DataFrame({"user_id": key[0], "event_type": key[1], "born": [b for b, _ in closed] + [born], "died": [e for _, e in closed] + [last + 1]})
+DAY_MS = 86_400_000
+
+
+def _lives(gap: int):
+    """Lives of a key over its batches; state: first and last day of each open life.
+
+    A life is given out once the watermark is past the days that could still lengthen it, by a timer where no row comes."""
+
+    def step(key, frames, state):
+        spans = list(zip(*state.get)) if state.exists else []
+        spans += [(d, d) for f in frames for d in set(f["day"].tolist())]
+        merged: list[list[int]] = []
+        for born, last in sorted(spans):
+            if merged and born - merged[-1][1] <= gap:
+                merged[-1][1] = max(merged[-1][1], last)
+            else:
+                merged.append([born, last])
+        now = state.getCurrentWatermarkMs() // DAY_MS
+        closed, still = [x for x in merged if x[1] + gap < now], [x for x in merged if x[1] + gap >= now]
+        if still:
+            state.update(([b for b, _ in still], [e for _, e in still]))
+            state.setTimeoutTimestamp((min(e for _, e in still) + gap + 1) * DAY_MS)
+        elif state.exists:
+            state.remove()
+        yield pd.DataFrame({"user_id": [key[0]] * len(closed), "event_type": [key[1]] * len(closed), "first": [b for b, _ in closed], "last": [e for _, e in closed]})
+
+    return step
+
+
+def lifetimes(events: DataFrame, delay: str, gap: int = 3) -> DataFrame:
+    """(user_id, event_type, born, died): a pair as an edge that lives while its events are at most ``gap`` days apart.
+
+    ``born`` and ``died`` are dates. Events may come in any order within ``delay``; later ones are dropped, and so are
+    those without a time. A life is given out when it can no longer grow, so those near the end stay open."""
+    rows = events.select("user_id", "event_type", "ts", F.unix_date(F.col("ts").cast("date")).alias("day")).where("ts is not null").withWatermark("ts", delay)
+    spans = rows.groupBy("user_id", "event_type").applyInPandasWithState(_lives(gap), "user_id long, event_type string, first int, last int", "first array<int>, last array<int>", "append", "EventTimeTimeout")
+    return spans.select("user_id", "event_type", F.date_from_unix_date("first").alias("born"), F.date_from_unix_date(F.col("last") + 1).alias("died"))
 
 
 def stream_lifetimes(spark, sf_dir):
-    """(user, kind) as an edge that lives while its events are at most three days apart."""
-    day = F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")).alias("day")
-    rows = event_stream(spark, sf_dir).select("user_id", "event_type", day).groupBy("user_id", "event_type")
-    lives = rows.applyInPandasWithState(_lives, "user_id long, event_type string, born int, died int", "born int, last int", "append", "NoTimeout")
-    return run_to_table(lives)
+    """Lives of (user, kind), as days since 2024. A row far after the last event ends the replay, so that every life closes."""
+    mark = f"end-{uuid.uuid4().hex}"
+    end = f"{shared_dir(spark)}/chronopath-{mark}"
+    table(spark, sf_dir, "events").agg((F.max("ts").cast("timestamp") + F.expr("interval 100 days")).alias("ts")).select(F.lit(-1).cast("long").alias("user_id"), F.lit(mark).alias("event_type"), "ts").write.parquet(end)
+    closing = spark.readStream.schema("user_id long, event_type string, ts timestamp").parquet(end)
+    lives = run_to_table(lifetimes(event_stream(spark, sf_dir).select("user_id", "event_type", "ts").unionByName(closing), "40 days"))
+    since = lambda c: F.datediff(c, F.lit("2024-01-01").cast("date")).alias(c)
+    return lives.where(F.col("event_type") != mark).select("user_id", "event_type", since("born"), since("died"))
 
 
 class IncrementalAnswer:

@@ -234,3 +234,36 @@ def test_table_function_and_local_solver(spark):
     alive = spark.createDataFrame([(i, a, b, w) for a, b, w, born, died in rows for i in range(born, died)], "snap int, src long, dst long, w double")
     got = answer(tables.local_finish(alive, SHORTEST, 0))
     assert got == everywhere(rows, range(2), 0, SHORTEST)
+
+
+def test_lifetimes_over_many_batches(spark, tmp_path):
+    """One file a trigger, days out of order and bridging, a late row, and lives that only a timer ends."""
+    from datetime import datetime, timedelta
+
+    from chronopath.streaming import streams
+
+    day = lambda n: datetime(2024, 1, 1, 12) + timedelta(days=n)
+    batches = [
+        [(1, "a", day(5)), (2, "a", day(0))],
+        [(1, "a", day(1)), (1, "b", day(6))],
+        [(1, "a", day(3)), (2, "a", day(20)), (1, "a", day(20))],
+        [(1, "a", day(2)), (2, "a", day(17))],  # 2 is later than the delay allows, 17 is not
+        [(9, "z", day(90))],
+    ]
+    for i, rows in enumerate(batches):
+        spark.createDataFrame(rows, "user_id long, event_type string, ts timestamp").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("user_id long, event_type string, ts timestamp").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    found = {(r.user_id, r.event_type, r.born, r.died) for r in streams.run_to_table(streams.lifetimes(stream, "10 days")).collect()}
+    at = lambda n: day(n).date()
+    assert found == {(1, "a", at(1), at(6)), (2, "a", at(0), at(1)), (1, "b", at(6), at(7)), (1, "a", at(20), at(21)), (2, "a", at(17), at(21))}
+
+
+def test_word_runs_link_items_inside_longer_lines(spark, tmp_path):
+    """Items inside longer lines or wrapped otherwise are linked; null, empty and short texts are not."""
+    from chronopath.sources import graphs
+
+    docs = [(1, "we know that The quick\tbrown fox jumps over it"), (2, "the quick\nbrown fox jumps"), (3, "the quick brown fox"), (4, None), (5, ""), (6, "x the quick brown fox leaps")]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(7, "the quick brown fox jumps"), (8, "quick brown fox")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    assert {(r.src, r.dst) for r in graphs.quiz(spark, str(tmp_path)).collect()} == {(-8, 1), (-8, 2)}
+    assert {(r.src, r.dst, r.w) for r in graphs.lookalike(spark, str(tmp_path)).collect()} == {(1, 2, 2.0), (2, 1, 2.0)}
