@@ -86,8 +86,9 @@ def _text_id(salt: str, col: str) -> str:
     return f"('0x' || substr(md5('{salt}' || {col}), 1, 15))::BIGINT"
 
 
-def _lines(table: str, key: str) -> str:
-    return f"SELECT DISTINCT {key} AS id, md5(line) AS h FROM (SELECT {key}, unnest(string_split(text, chr(10))) AS line FROM {table}) WHERE length(line) >= 20"
+def _grams(table: str, key: str, n: int = 5) -> str:
+    words = f"SELECT {key} AS id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^ \\t\\n\\x0B\\f\\r]+') AS words FROM {table}"
+    return f"SELECT DISTINCT id, md5(array_to_string(words[i:i + {n - 1}], ' ')) AS h FROM (SELECT id, words, unnest(range(1, len(words) - {n - 2})) AS i FROM ({words}))"
 
 
 _TRADE = "SELECT 2 * o_custkey AS a, 2 * l_suppkey + 1 AS b, l_quantity AS w FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
@@ -107,7 +108,7 @@ GRAPH_SQL = {
     "reply": _pairs("SELECT 1000 * conv_id + turn AS src, lead(1000 * conv_id + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS dst, 1 + coalesce(length(text), 0) // 100 AS w FROM conversations"),
     "linkhost": f"SELECT DISTINCT {_text_id('h', 'host')} AS src, {_text_id('p', 'path')} AS dst, 1.0::DOUBLE AS w FROM (SELECT regexp_extract(url, '^https?://([^/]+)', 1) AS host, unnest(regexp_extract_all(html, 'href=\"(/[^\"]*)\"', 1)) AS path FROM pages)",
     "curated": f"SELECT DISTINCT -1 - {_text_id('s', 'source')} AS src, doc_id AS dst, 1.0::DOUBLE AS w FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0)",
-    "lookalike": f"WITH l AS ({_lines('documents', 'doc_id')}), f AS (SELECT h, min(id) AS a FROM l GROUP BY h HAVING count(*) > 1), m AS (SELECT a, id AS b, (1 + count(*))::DOUBLE AS w FROM l JOIN f USING (h) WHERE id <> a GROUP BY a, id) SELECT a AS src, b AS dst, w FROM m UNION ALL SELECT b, a, w FROM m",
-    "quiz": f"WITH l AS ({_lines('documents', 'doc_id')}), i AS ({_lines('benchmark', 'item_id')}) SELECT DISTINCT -1 - i.id AS src, l.id AS dst, 1.0::DOUBLE AS w FROM l JOIN i USING (h)",
+    "lookalike": f"WITH l AS ({_grams('documents', 'doc_id')}), f AS (SELECT h, min(id) AS a FROM l GROUP BY h HAVING count(*) > 1), m AS (SELECT a, id AS b, (1 + count(*))::DOUBLE AS w FROM l JOIN f USING (h) WHERE id <> a GROUP BY a, id) SELECT a AS src, b AS dst, w FROM m UNION ALL SELECT b, a, w FROM m",
+    "quiz": f"WITH l AS ({_grams('documents', 'doc_id')}), i AS ({_grams('benchmark', 'item_id')}) SELECT DISTINCT -1 - i.id AS src, l.id AS dst, 1.0::DOUBLE AS w FROM l JOIN i USING (h)",
     "knn": "SELECT src, dst, 1 + d AS w FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY d, dst) AS r FROM (SELECT a.vec_id AS src, b.vec_id AS dst, round(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda p: (p[1]::DOUBLE - p[2]::DOUBLE) * (p[1]::DOUBLE - p[2]::DOUBLE))), 6) AS d FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id)) WHERE r <= 3",
 }

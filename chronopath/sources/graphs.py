@@ -106,24 +106,29 @@ def curated(spark, sf_dir):
     return docs.join(good, "doc_id").select((-1 - text_id("source", "s")).alias("src"), F.col("doc_id").alias("dst"), F.lit(1.0).alias("w")).distinct()
 
 
-def _lines(spark, sf_dir, name, key):
-    """(key, digest) of the distinct lines of at least 20 characters."""
-    rows = table(spark, sf_dir, name).select(F.col(key).alias("id"), F.explode(F.split("text", "\n")).alias("line"))
-    return rows.where(F.char_length("line") >= 20).select("id", F.md5(F.col("line").cast("binary")).alias("h")).distinct()
+LETTERS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+
+
+def _grams(spark, sf_dir, name, key, n=5):
+    """(key, digest) of the distinct runs of ``n`` words, A-Z in lower case; texts of fewer words have none."""
+    words = F.regexp_extract_all(F.translate("text", LETTERS, LETTERS.lower()), F.lit(r"[^ \t\n\x0B\f\r]+"), 0)
+    rows = table(spark, sf_dir, name).select(F.col(key).alias("id"), words.alias("words")).where(F.size("words") >= n)
+    digests = F.transform(F.sequence(F.lit(1), F.size("words") - n + 1), lambda i: F.md5(F.concat_ws(" ", F.slice("words", i, n)).cast("binary")))
+    return rows.select("id", F.explode(F.array_distinct(digests)).alias("h")).distinct()
 
 
 def lookalike(spark, sf_dir):
-    """Document to the first document with a line in common, both ways (a star for each line, not all pairs); weight 1 + shared lines."""
-    lines = _lines(spark, sf_dir, "documents", "doc_id")
-    first = lines.groupBy("h").agg(F.min("id").alias("src"), F.count("*").alias("n")).where("n > 1").drop("n")
-    pairs = lines.join(first, "h").where("id <> src").groupBy("src", F.col("id").alias("dst")).agg((1 + F.count("*")).cast("double").alias("w"))
+    """Document to the first document with five words in a row in common, both ways (a star for each run, not all pairs); weight 1 + shared runs."""
+    grams = _grams(spark, sf_dir, "documents", "doc_id")
+    first = grams.groupBy("h").agg(F.min("id").alias("src"), F.count("*").alias("n")).where("n > 1").drop("n")
+    pairs = grams.join(first, "h").where("id <> src").groupBy("src", F.col("id").alias("dst")).agg((1 + F.count("*")).cast("double").alias("w"))
     return both_ways(pairs)
 
 
 def quiz(spark, sf_dir):
-    """Benchmark item (negative ids) to the documents that hold one of its lines; weight 1."""
-    items = _lines(spark, sf_dir, "benchmark", "item_id").select((-1 - F.col("id")).alias("src"), "h")
-    docs = _lines(spark, sf_dir, "documents", "doc_id").select(F.col("id").alias("dst"), "h")
+    """Benchmark item (negative ids) to the documents that hold five of its words in a row; weight 1."""
+    items = _grams(spark, sf_dir, "benchmark", "item_id").select((-1 - F.col("id")).alias("src"), "h")
+    docs = _grams(spark, sf_dir, "documents", "doc_id").select(F.col("id").alias("dst"), "h")
     return docs.join(items, "h").select("src", "dst", F.lit(1.0).alias("w")).distinct()
 
 
