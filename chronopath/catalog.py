@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from chronopath import measures, oracles
 from chronopath.functions import tables
-from chronopath.functions.algebra import ALGEBRAS, PathAlgebra
+from chronopath.functions.algebra import ALGEBRAS, LIKELIEST_LOG, PathAlgebra
 from chronopath.functions.masks import expand
 from chronopath.operators import relational
 from chronopath.plans import concurrent as C
@@ -26,6 +26,7 @@ SOURCE, BATCH = 0, 100
 LONG, SHORT = 64, 3  # snapshots of the concurrent strategies; of those that loop over snapshots
 #: The published sweeps: snapshots, and batches as 1/3, 2/3, 1, 4/3 and 5/3 of the standard one.
 SWEEP_SNAPSHOTS, SWEEP_BATCHES = (32, 64, 128), (33, 67, 100, 133, 167)
+WIDTHS = [1.0, 2.0, 4.0, 8.0, 16.0]  # edges of the buckets of bound widths
 TOGETHER = ("recompute_together", "residual_conc", "residual_conc_shared", "core_conc")
 
 _memo: dict[tuple, object] = {}
@@ -64,6 +65,19 @@ def _full(name, spark, sf_dir):
     return solve_full(ALGEBRAS[name].checked(graphs.basket(spark, sf_dir)), SOURCE, ALGEBRAS[name]).where(F.col("v") != SOURCE).select("v", "val")
 
 
+def _logarithms(spark, sf_dir):
+    found = solve_full(LIKELIEST_LOG.checked(graphs.basket(spark, sf_dir)), SOURCE, LIKELIEST_LOG).where(F.col("v") != SOURCE)
+    return found.select("v", F.round("val", 6).alias("val"))
+
+
+def _widths(name, spark, sf_dir):
+    return measures.bound_widths(prepared(spark, sf_dir, name).bound, WIDTHS)
+
+
+def _degree(name, spark, sf_dir):
+    return measures.average_degree(graphs.GRAPHS[name](spark, sf_dir))
+
+
 def _core(spark, sf_dir):
     return prepared(spark, sf_dir, "shortest").core
 
@@ -168,6 +182,9 @@ def queries() -> dict:
     out["w6_sizes_by_s"] = partial(_sweep, SWEEP_SNAPSHOTS, "snapshots")
     out["w7_sizes_by_batch"] = partial(_sweep, SWEEP_BATCHES, "batch")
     out["sharing_tree_additions"] = _tree
+    out["full_likeliest_log"] = _logarithms
+    out |= {f"bound_width_{a}": partial(_widths, a) for a in ("hops", "shortest", "narrowest")}
+    out |= {f"average_degree_{g}": partial(_degree, g) for g in ("basket", "trade", "supply")}
     out |= {f"graph_{g}_edges": f for g, f in graphs.GRAPHS.items()}
     return out | relational.queries() | streams.queries()
 
@@ -220,6 +237,12 @@ def oracle_sql() -> dict[str, str]:
           SELECT (SELECT count(*) FROM st) AS stable, (SELECT count(*) FROM own WHERE same) AS unchanged, (SELECT count(*) FROM st JOIN own USING (v) WHERE same) AS found)
           SELECT *, stable - found AS unsafe, found / nullif(unchanged, 0) AS recall FROM n"""
         out[f"w3_residual_sizes_{a}"] = _sizes_sql(a)
+    for a in ("hops", "shortest", "narrowest"):
+        bucket = " + ".join(f"(upper - lower >= {e})::INTEGER" for e in WIDTHS)
+        out[f"bound_width_{a}"] = with_(script, oracles.bounds(ALGEBRAS[a], SOURCE)) + f" SELECT ({bucket})::INTEGER AS bucket, count(*) AS n FROM bounds WHERE core_val <> hull_val GROUP BY 1"
+    for g in ("basket", "trade", "supply"):
+        out[f"average_degree_{g}"] = f"WITH e AS ({oracles.GRAPH_SQL[g]}), n AS (SELECT (SELECT count(*) FROM e) AS edges, (SELECT count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)) AS vertices) SELECT *, edges / vertices AS degree, 2 * edges / vertices AS degree_both FROM n"
+    out["full_likeliest_log"] = with_(oracles.BASKET, oracles.paths("res", "SELECT 0 AS snap, src, dst, w FROM g", LIKELIEST_LOG, SOURCE)) + f" SELECT v, round(val, 6) AS val FROM res WHERE v <> {SOURCE}"
     columns = "core_edges, residual_edges, vertices, unstable, added_total, trimmed_total"
     out["w6_sizes_by_s"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS snapshots, {columns} FROM ({_sizes_sql('shortest', n)})" for n in SWEEP_SNAPSHOTS)
     out["w7_sizes_by_batch"] = " UNION ALL ".join(f"SELECT {n}::INTEGER AS batch, {columns} FROM ({_sizes_sql('shortest', LONG, n)})" for n in SWEEP_BATCHES)

@@ -313,6 +313,26 @@ def op_weight_quantiles(spark, sf_dir):
     return basket(spark, sf_dir).agg(F.percentile("w", 0.5).alias("median"), (F.max("w") - F.min("w")).alias("width"))
 
 
+@_op("SELECT o_orderstatus AS status, o_orderpriority AS priority, count(*) AS n, max(o_totalprice) AS top FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())")
+def op_grouping_sets(spark, sf_dir):
+    """Totals by status, by priority and of all."""
+    o = table(spark, sf_dir, "orders").select(F.col("o_orderstatus").alias("status"), F.col("o_orderpriority").alias("priority"), "o_totalprice")
+    return o.groupingSets([["status"], ["priority"], []], "status", "priority").agg(F.count("*").alias("n"), F.max("o_totalprice").alias("top"))
+
+
+@_op("SELECT o_orderstatus AS status, o_orderpriority AS priority, count(*) AS n FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)")
+def op_rollup(spark, sf_dir):
+    o = table(spark, sf_dir, "orders").select(F.col("o_orderstatus").alias("status"), F.col("o_orderpriority").alias("priority"))
+    return o.rollup("status", "priority").agg(F.count("*").alias("n"))
+
+
+@_op("WITH m AS (SELECT o_orderpriority AS priority, min(o_totalprice) AS low, max(o_totalprice) AS top FROM orders GROUP BY 1) SELECT priority, 'low' AS measure, low AS value FROM m UNION ALL SELECT priority, 'top', top FROM m")
+def op_unpivot(spark, sf_dir):
+    """A column for each measure, then a row for each."""
+    m = table(spark, sf_dir, "orders").groupBy(F.col("o_orderpriority").alias("priority")).agg(F.min("o_totalprice").alias("low"), F.max("o_totalprice").alias("top"))
+    return m.unpivot("priority", ["low", "top"], "measure", "value")
+
+
 @_op(None)
 def op_approx_heads(spark, sf_dir):
     return basket(spark, sf_dir).agg(F.approx_count_distinct("dst").alias("heads"), F.percentile_approx("w", 0.5).alias("median"))
