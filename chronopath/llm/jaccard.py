@@ -43,7 +43,9 @@ from chronopath.llm.components import components
 
 LEVELS, VERIFY_COST = 4, 20
 #: Size of the table of counts that orders shingles, and of a set's parity map: two sets differ in at least as many members as their maps differ in bits.
-BUCKET_BITS, MAP_BITS = 18, 512
+BUCKET_BITS, MAP_BITS = 21, 512
+#: Buckets whose counts travel in one row.
+BLOCK = 4096
 #: Rounds of ties before the remaining pairs are listed (sooner if those are at most so many times the rows, or fall too slowly),
 #: and shared shingles by which such pairs are told apart.
 TIE_ROUNDS, FEW_PAIRS, HEAD = 4, 4, 16
@@ -86,24 +88,46 @@ def digest(members: np.ndarray) -> bytes:
 
 
 def bucket_counts(docs: DataFrame, size: int, bits: int = BUCKET_BITS) -> np.ndarray:
-    """Occurrences of the shingles of each hash bucket in the whole table of (id, text)."""
-
-    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts, open_, n = np.zeros(1 << bits, np.int64), [], 0
+    """Occurrences of the shingles of each hash bucket in the whole table of (id, text).
+
+    Tasks send their counts in blocks of buckets, and blocks are summed as they arrive: no
+    worker holds more than one table, however many tasks there are.
+    """
+    block = min(BLOCK, 1 << bits)
+
+    def sent(counts: np.ndarray) -> Iterator[pa.RecordBatch]:
+        rows = counts.astype(np.uint32).reshape(-1, block)
+        used = np.flatnonzero(rows.any(axis=1)).astype(np.int32)
+        for at in range(0, len(used), 64):
+            own = used[at : at + 64]
+            yield pa.RecordBatch.from_arrays([pa.array(own), pa.array([rows[b].tobytes() for b in own], pa.binary())], names=["block", "n"])
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts, open_, n, seen = np.zeros(1 << bits, np.int64), [], 0, 0
         for batch in slices(batches, limit=WORK_BYTES):
             open_.append((shingles(batch.column(0), size)[0] >> np.uint64(64 - bits)).astype(np.int32))
             n += len(open_[-1])
             if n > counts.size:
                 counts += np.bincount(np.concatenate(open_), minlength=counts.size)
-                open_, n = [], 0
-        counts += np.bincount(np.concatenate([np.zeros(0, np.int32), *open_]), minlength=counts.size)
-        bucket = np.flatnonzero(counts)
-        yield pa.RecordBatch.from_arrays([pa.array(bucket.astype(np.int32)), pa.array(counts[bucket])], names=["bucket", "n"])
-
-    rows = docs.select("text").mapInArrow(go, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
-    out = np.zeros(1 << bits, np.int64)
-    out[rows.column("bucket").to_numpy()] = rows.column("n").to_numpy()
-    return out
+                open_, n, seen = [], 0, seen + n
+                if seen >= 1 << 30:  # before a count could pass 32 bits
+                    yield from sent(counts)
+                    counts[:], seen = 0, 0
+        yield from sent(counts + np.bincount(np.concatenate([np.zeros(0, np.int32), *open_]), minlength=counts.size))
+
+    def total(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for at, counts in zip(batch.column(0).to_pylist(), batch.column(1)):
+                sums[at] = sums.get(at, 0) + np.frombuffer(counts.as_py(), np.uint32).astype(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([x.tobytes() for x in sums.values()], pa.binary())], names=["block", "n"])
+
+    schema = "block int, n binary"
+    rows = docs.select("text").mapInArrow(count, schema).repartition("block").mapInArrow(total, schema).toArrow()
+    out = np.zeros(1 << bits, np.int64).reshape(-1, block)
+    for at, counts in zip(rows.column("block").to_pylist(), rows.column("n").to_pylist()):
+        out[at] = np.frombuffer(counts, np.int64)
+    return out.reshape(-1)
 
 
 def prefixes(docs: DataFrame, size: int, num: int, den: int, counts: np.ndarray) -> DataFrame:
