@@ -34,6 +34,7 @@ from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -49,6 +50,8 @@ BLOCK = 4096
 #: Rounds of ties before the remaining pairs are listed (sooner if those are at most so many times the rows, or fall too slowly),
 #: and shared shingles by which such pairs are told apart.
 TIE_ROUNDS, FEW_PAIRS, HEAD = 4, 4, 16
+#: Bits of the map of ids whose texts are wanted; a fuller map lets more texts through to the join and drops none.
+WANTED_BITS = 26
 #: Text worked on at once in a Python worker; bounds memory only.
 WORK_BYTES = 1 << 20
 _SHORT = np.uint64(0xA0761D6478BD642F)
@@ -172,6 +175,25 @@ def whole_sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.select("text").mapInArrow(go, "sig binary, members array<long>")
 
 
+def _maybe(docs: DataFrame, wanted: DataFrame, bits: int = WANTED_BITS) -> DataFrame:
+    """Rows of ``docs`` whose id may be in ``wanted``, by a map of fixed size, so that few other texts move."""
+    place = F.xxhash64("id").bitwiseAND((1 << bits) - 1)
+    at = (place + 1).alias("at")
+    maps = wanted.select(at).groupBy(F.expr("bitmap_bucket_number(at)").alias("part")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("map")).toArrow()
+    whole = np.zeros(1 << bits - 3, np.uint8)
+    for part, own in zip(maps.column("part").to_pylist(), maps.column("map").to_pylist()):
+        own = np.frombuffer(own, np.uint8)
+        whole[(part - 1) * len(own) : part * len(own)] = own
+    shared = docs.sparkSession.sparkContext.broadcast(whole)
+
+    @F.pandas_udf("boolean")
+    def among(places: pd.Series) -> pd.Series:
+        at = places.to_numpy()
+        return pd.Series(shared.value[at >> 3] >> (at & 7).astype(np.uint8) & 1 == 1)
+
+    return docs.where(among(place))
+
+
 def _near(x: str, y: str, num: int, den: int) -> Column:
     """False only for pairs whose sizes or parity maps prove that they are below the threshold."""
     n, m = F.col(f"{x}.n"), F.col(f"{y}.n")
@@ -192,10 +214,10 @@ def _verified(pairs: DataFrame, shared: DataFrame, docs: DataFrame, ids: DataFra
     for x in "ab":
         pairs = pairs.join(side(shared, x, "n", "l", "map", "tokens", "upto"), x)
     pairs = scratch.keep(pairs.where(_near("of_a", "of_b", num, den) & _enough("of_a", "of_b")).select("a", "b").distinct(), "plausible")
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(ids, "node").select(F.col("rep").alias("id")).distinct()
-    rows = docs.join(wanted.hint("shuffle_hash"), "id", "left_semi")
+    wanted = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(ids, "node").select(F.col("rep").alias("id")).distinct(), "wanted")
+    rows = _maybe(docs, wanted).join(wanted.hint("shuffle_hash"), "id", "left_semi")
     sets = scratch.keep(whole_sets(rows, size).select(node().alias("node"), "members"), "members")
-    scratch.drop()
+    scratch.drop(wanted)
     both = pairs
     for x in "ab":
         both = both.join(side(sets, x, "members"), x)
