@@ -7,6 +7,7 @@ so all word work happens on UTF-8 bytes.
 
 from __future__ import annotations
 
+import gc
 import os
 import re
 import uuid
@@ -61,6 +62,7 @@ class Scratch:
         for df in frames:
             path = jvm.org.apache.hadoop.fs.Path(self.paths.pop(id(df))[0])
             path.getFileSystem(conf).delete(path, True)
+        gc.collect()  # plans that Python no longer reaches hold shuffle files too
         jvm.System.gc()
 
     def drop_all(self) -> None:

@@ -235,6 +235,7 @@ def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, Da
     firsts = base.where("n > 0 and id is not null").groupBy("sig").agg(F.min("id").alias("rep"), F.first(F.struct("n", "l", "map", "tokens")).alias("of"))
     sigs = scratch.keep(firsts.select("sig", node().alias("node"), "rep", "of.*"), "sets")
     classes = scratch.keep(base.select("id", "sig", "n"), "classes")
+    del firsts
     scratch.drop(base)
 
     # What sets share: a row of each (shingle, set), then a row of each set.
@@ -247,6 +248,7 @@ def links(docs: DataFrame, size: int, num: int, den: int) -> tuple[DataFrame, Da
     shared = sigs.drop("sig").join(places.hint("merge"), "node").withColumn("upto", upto).withColumn("tokens", F.array_intersect("tokens", "own")).drop("own")
     shared = scratch.keep(shared.where("upto[0] > 0"), "shared")
     ids = scratch.keep(sigs.select("sig", "node", "rep"), "nodes")
+    del postings, places
     scratch.drop(often, sigs)
     verified = lambda pairs: _verified(pairs, shared, docs, ids, size, num, den, scratch)
     nodes = shared.select("node", "n", F.explode(F.slice("tokens", F.lit(1), F.col("upto")[0])).alias("token"))
