@@ -267,3 +267,29 @@ def test_word_runs_link_items_inside_longer_lines(spark, tmp_path):
     spark.createDataFrame([(7, "the quick brown fox jumps"), (8, "quick brown fox")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
     assert {(r.src, r.dst) for r in graphs.quiz(spark, str(tmp_path)).collect()} == {(-8, 1), (-8, 2)}
     assert {(r.src, r.dst, r.w) for r in graphs.lookalike(spark, str(tmp_path)).collect()} == {(1, 2, 2.0), (2, 1, 2.0)}
+
+
+def test_runs_move_once_and_packed(spark, tmp_path, monkeypatch):
+    """Stars of word runs over many packed pieces and repeated rows equal brute force; texts' runs go through one shuffle, pairs through another."""
+    import random
+
+    from chronopath.sources import graphs
+
+    rng = random.Random(5)
+    docs = [(rng.randrange(-3, 60), " ".join(rng.choice(["Um", "um", "dois", "três", "Água", "x" * 300]) for _ in range(rng.randrange(0, 30)))) for _ in range(90)] + [(None, "um dois um dois um dois"), (1 << 40, None)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    runs = {}
+    for i, text in docs:
+        words = (text or "").encode().lower().split()
+        for k in range(len(words) - 4):
+            if i is not None:
+                runs.setdefault(tuple(words[k : k + 5]), set()).add(i)
+    shared = {}
+    for ids in runs.values():
+        for i in ids - {min(ids)}:
+            shared[min(ids), i] = shared.get((min(ids), i), 0) + 1
+    monkeypatch.setattr(graphs, "RUNS_AT_ONCE", 50)
+    found = graphs.lookalike(spark, str(tmp_path))
+    assert found._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") == 2
+    got = {(r.src, r.dst): r.w for r in found.collect()}
+    assert got == {pair: 1.0 + n for (a, b), n in shared.items() for pair in ((a, b), (b, a))} and found.count() == 2 * len(shared)
