@@ -293,3 +293,25 @@ def test_runs_move_once_and_packed(spark, tmp_path, monkeypatch):
     assert found._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") == 2
     got = {(r.src, r.dst): r.w for r in found.collect()}
     assert got == {pair: 1.0 + n for (a, b), n in shared.items() for pair in ((a, b), (b, a))} and found.count() == 2 * len(shared)
+
+
+def test_nearest_vectors_in_parts(spark, tmp_path, monkeypatch):
+    """Several parts, ties, copies, a null vector and shorter ones: the same as the SQL, where a null distance comes last."""
+    import random
+
+    duckdb = pytest.importorskip("duckdb")
+    from chronopath import oracles
+    from chronopath.sources import graphs
+
+    rng = random.Random(3)
+    rows = [(i, [float(rng.randrange(4)) / 3 for _ in range(6)], i % 3) for i in range(90)] + [(100 + i, [0.5] * 6, 1) for i in range(30)]
+    rows += [(200, None, 0), (201, [0.25, None, 0.5], 0), (202, [1.0] * 6, None), (203, [1.0] * 6, 7), (204, None, 7), (-5, [1e6, 0.0, 0.0, 0.0, 0.0, 1e-3], 2)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").coalesce(1).write.parquet(str(tmp_path / "embeddings.parquet"))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
+    monkeypatch.setattr(graphs, "PART_VECTORS", 7)
+    monkeypatch.setattr(graphs, "VECTORS_AT_ONCE", 5)
+    found = graphs.knn(spark, str(tmp_path))
+    assert "BroadcastNestedLoop" not in (plan := found._jdf.queryExecution().executedPlan().toString()) and "zip_with" not in plan
+    key = lambda r: (r[0], r[1], r[2] is None, r[2] or 0)
+    assert sorted(map(tuple, found.collect()), key=key) == sorted(con.execute(oracles.GRAPH_SQL["knn"]).fetchall(), key=key)
