@@ -446,3 +446,14 @@ def test_pipeline(spark, labelled, tmp_path):
     assert {3000, 3001, 3002} & kept["near_duplicates"] == {3002} and 3002 not in kept["decontamination"] and 3003 in kept["decontamination"]
     packed = {r.doc_id for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
     assert packed == kept["decontamination"]
+
+
+def test_counts_that_order_shingles_in_a_byte_each(spark):
+    """Coded sums over several tasks equal plain counts to a sixteenth of a power of two, also beyond what a byte and a task hold."""
+    texts = ["a b c d e", "a b c d " * 300, None, "", "x", "b c d e f g"] * 4
+    docs = spark.createDataFrame(list(enumerate(texts)), "id long, text string").repartition(3)
+    found = jaccard.bucket_counts(docs, 4, bits=16)
+    assert found.dtype == np.uint8 and len(jaccard.bucket_counts(docs, 4)) >= 1 << 24
+    own, _ = jaccard.shingles(pa.array(texts), 4)
+    plain = np.bincount((own >> np.uint64(48)).astype(np.int64), minlength=1 << 16)
+    assert plain.max() > 1000 and (np.abs(np.log2(np.maximum(jaccard.DECODED[found], 0.5)) - np.log2(np.maximum(plain, 0.5))) <= 1 / 16 + 1e-6).all()
