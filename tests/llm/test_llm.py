@@ -233,6 +233,42 @@ def test_near_duplicates_in_a_large_group(spark):
     assert got == groups(rows, 4, 85, 100)
 
 
+def test_near_duplicates_at_any_place_of_the_order(spark, monkeypatch):
+    """Sizes about the threshold, all shingles in order of their hashes alone, groups of shingles compared at once or in rounds."""
+    monkeypatch.setattr(jaccard, "bucket_counts", lambda *_: np.ones(1 << 16, np.uint8))
+    rows = []
+    for size in (5, 8, 20, 45, 90):
+        base = [rng.choice(WORDS) for _ in range(size)]
+        for k in range(24):
+            own = base[: size - rng.randint(0, max(1, size // 7))] + rng.choices(WORDS, k=rng.randint(0, max(1, size // 9)))
+            if k % 3 == 0:
+                own[rng.randrange(len(own))] = rng.choice(WORDS)
+            rows.append((len(rows), " ".join(own)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(jaccard, "FEW_SETS", 3, raising=False)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.near_duplicates(docs, size=4, threshold=(85, 100)).collect()}
+    assert got == groups(rows, 4, 85, 100)
+
+
+def test_sets_that_cannot_meet_are_not_tied(spark, monkeypatch):
+    """Texts and their first halves share shingles, but no order of them lets such sizes reach the threshold: none goes into the rounds."""
+    rows, made = [], []
+    for i in range(30):
+        long = [f"w{i}_{k}" for k in range(100)]
+        rows += [(2 * i, " ".join(long)), (2 * i + 1, " ".join(long[:50]))]
+    monkeypatch.setattr(jaccard, "bucket_counts", lambda *_: np.ones(1 << 16, np.uint8))
+    plain = Scratch.keep
+
+    def keep(self, df, name="t"):
+        out = plain(self, df, name)
+        made.extend([out.count()] * (name in ("tied", "shared")))
+        return out
+
+    monkeypatch.setattr(Scratch, "keep", keep)
+    got = jaccard.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), size=4, threshold=(85, 100)).collect()
+    assert all(r.component_id == r.doc_id for r in got) and len(made) >= 2 and sum(made) == 0
+
+
 def test_components(spark):
     chain = [(i, i + 1) for i in range(40)] + [(100, 90), (95, 100), (7, 7)]
     got = {r.id: r.component for r in components.components(spark.createDataFrame(chain, "a long, b long")).collect()}
