@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from chronopath.llm.common import Scratch, bpe, slices
+from chronopath.llm.common import Scratch, bpe, give_back, slices
 
 CAPACITY = 2048
 #: Pieces of one length ranked together by one task.
@@ -54,6 +54,7 @@ def encode_pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
                     for column, value in zip(rows, (key, k, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]))):
                         column.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(rows[0], batch.schema.field(0).type), pa.array(rows[1], pa.int32()), *(pa.array(x, pa.int64()) for x in rows[2:])], names=["id", "piece", "start", "length", "ids_crc32"])
+        give_back()
 
     source = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     return source.mapInArrow(run, f"id {source.schema['id'].dataType.simpleString()}, {PIECES}").withColumnRenamed("id", id_col)

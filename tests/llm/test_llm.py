@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import tracemalloc
 import zlib
 from functools import cache
 
@@ -420,6 +421,30 @@ def test_kneser_ney_ratios_equal_a_plain_recursion():
         assert abs(found[k] - (logs[0] - logs[1])) < 1e-3 and abs(back[k] - (backs[0] - backs[1])) < 1e-4
 
 
+def test_toxicity_block_memory():
+    """Cutting a block into words takes a few times its text, and gives the words that cutting it at once gives."""
+    texts = [None, "", " ".join(rng.choices(WORDS, k=1000)).title(), *(" ".join(rng.choices(WORDS, k=1000)) for _ in range(700)), "Ünï \x00 x\x00", "y" * 3000]
+    column = pa.array(["left out", *texts]).slice(1)
+    size = sum(len((t or "").encode()) for t in texts)
+
+    def words():
+        return {k: w.split() for k, w in toxicity.Block(column).asked(5)}
+
+    words()
+    tracemalloc.start()
+    try:
+        found = words()
+        assert size > 3 << 20 and tracemalloc.get_traced_memory()[1] < 6 * size
+    finally:
+        tracemalloc.stop()
+    whole, block = WordColumn(column, lower=True), toxicity.Block(column)
+    assert sorted(w for own in found.values() for w in own) == sorted({w for t in texts for w in (t or "").encode().lower().split()})
+    assert all((WordColumn(pa.array([w.decode() for w in own])).hashes % np.uint64(5) == k).all() for k, own in found.items())
+    assert (np.concatenate([block.hashes[block.places(part)] for part in block.parts()]) == whole.hashes).all()
+    assert sum(len(part.starts) - 1 for part in block.parts()) == len(texts)
+    assert toxicity.block_name(column) == toxicity.block_name(pa.array(texts)) != toxicity.block_name(pa.array(texts[1:] + texts[:1]))
+
+
 def test_toxicity_counts_every_ngram(spark):
     """More n-grams than a table of 2^22 hashed places holds apart; words never seen back off."""
     gen = random.Random(9)
