@@ -17,6 +17,7 @@ is carried through; an empty table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+import itertools
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -48,8 +49,9 @@ def encode_pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
         encoder = bpe(vocabulary)
         for batch in slices(batches):
             rows: list[list] = [[], [], [], [], []]
-            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                ids = encoder.encode(text) + b"\0\0\0\0"
+            found, starts = encoder.column(batch.column(1))
+            for key, (low, high) in zip(batch.column(0).to_pylist(), itertools.pairwise(starts.tolist())):
+                ids = found[low:high].tobytes() + b"\0\0\0\0"
                 for k, (start, length) in enumerate(cut(len(ids) // 4, capacity)):
                     for column, value in zip(rows, (key, k, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]))):
                         column.append(value)

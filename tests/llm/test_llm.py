@@ -1,6 +1,7 @@
 """Operators against brute force on small tables, with nulls, empties, repeats and clashing columns."""
 
 import hashlib
+import itertools
 import random
 import tracemalloc
 import zlib
@@ -12,7 +13,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from chronopath.llm import components, decontaminate, jaccard, lengths, linechunks, packing, quality, substrings, tiff, toxicity, warc
-from chronopath.llm.common import Scratch, WordColumn, bpe, tokenizer_path
+from chronopath.llm.common import BpeBytes, Scratch, WordColumn, bpe, tokenizer_path
 
 rng = random.Random(4)
 WORDS = ["".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 7))) for _ in range(400)]
@@ -56,6 +57,28 @@ def test_bpe_equals_the_tokenizers_library():
         assert np.frombuffer(bpe().encode(t), "<u4").tolist() == other.encode(t, add_special_tokens=False).ids
 
 
+def test_bpe_asks_the_library_once_for_a_word():
+    from tokenizers import Tokenizer
+
+    class Asked:
+        def __init__(self, model):
+            self.model, self.words = model, []
+
+        def tokenize(self, word):
+            self.words.append(word)
+            return self.model.tokenize(word)
+
+    other, encoder = Tokenizer.from_file(tokenizer_path()), BpeBytes()
+    encoder.model = Asked(encoder.model)
+    for t in ("a word, a word. (word) word!\nword 12 12,", "word; word 12."):  # signs beside a word make no other word of it
+        assert np.frombuffer(encoder.encode(t), "<u4").tolist() == other.encode(t, add_special_tokens=False).ids
+    assert len(encoder.model.words) == len(set(encoder.model.words))
+    texts = [None, "", "don't word", "<|endoftext|> word", " ", "\n", "word", None, "a <|endoftext|>", "× ×1 ÷é"]
+    for part in (slice(0, None), slice(3, 6), slice(0, 2), slice(0, 0)):
+        ids, starts = encoder.column(pa.array(texts, pa.string())[part])
+        assert [ids[a:b].tolist() for a, b in itertools.pairwise(starts)] == [other.encode(t or "", add_special_tokens=False).ids for t in texts[part]]
+
+
 def test_packing(docs, empty):
     rows = packing.pack(docs, capacity=256).collect()
     by_doc, by_bin = {}, {}
